@@ -77,7 +77,8 @@ def group_texts(docs: DataFrame) -> DataFrame:
     """One row for each distinct normalised text: its SHA-256, smallest doc_id and number of rows."""
     spark = docs.sparkSession
     rows = C.map_rows(docs.select("doc_id", C.text_bytes().alias("text")), fold, "text binary, doc_id long, n long")
-    ranged = rows.repartitionByRange(C.width(spark), "text").sortWithinPartitions("text", "doc_id")
+    # the splitters need the beginning only, and a hash where many texts begin alike: the driver never samples whole texts
+    ranged = rows.repartitionByRange(C.width(spark), F.substring("text", 1, 48), F.xxhash64("text")).sortWithinPartitions("text", "doc_id")
     return C.map_rows(ranged, neighbours, GROUPS, flush=True)
 
 
