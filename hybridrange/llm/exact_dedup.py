@@ -17,7 +17,7 @@ from pyspark.sql import functions as F
 
 from . import common as C
 
-GROUPS = "text_sha256 binary, keep_id long, group_size long"
+GROUPS = "text_sha256 binary, keep_id long, keep_rid long, group_size long"
 
 
 def normalise(text: bytes) -> bytes:
@@ -30,16 +30,22 @@ def normalise(text: bytes) -> bytes:
     return b" " * (text[:1] in C.WHITE and text[:1] != b"") + body + b" " * (text[-1:] in C.WHITE)
 
 
+def smaller(x: list, doc_id: int | None, rid: int) -> None:
+    """Puts the smaller of two (doc_id, rid) in x; a null doc_id is the largest."""
+    if (doc_id is None, doc_id or 0, rid) < (x[0] is None, x[0] or 0, x[1]):
+        x[:2] = doc_id, rid
+
+
 def fold():
     """Equal texts of a slice become one row with their smallest id and their number."""
 
     def each(batch: pa.RecordBatch) -> dict:
         found: dict[bytes, list] = {}
-        for doc_id, text in zip(batch["doc_id"].to_pylist(), batch["text"].to_pylist(), strict=True):
-            x = found.setdefault(normalise(text), [doc_id, 0])
-            x[0] = doc_id if x[0] is None else x[0] if doc_id is None else min(x[0], doc_id)
-            x[1] += 1
-        return {"text": list(found), "doc_id": [x[0] for x in found.values()], "n": [x[1] for x in found.values()]}
+        for doc_id, rid, text in zip(batch["doc_id"].to_pylist(), batch["rid"].to_pylist(), batch["text"].to_pylist(), strict=True):
+            x = found.setdefault(normalise(text), [doc_id, rid, 0])
+            smaller(x, doc_id, rid)
+            x[2] += 1
+        return {"text": list(found), "doc_id": [x[0] for x in found.values()], "rid": [x[1] for x in found.values()], "n": [x[2] for x in found.values()]}
 
     return each
 
@@ -53,56 +59,57 @@ def neighbours():
         if batch is None:
             out, held[:] = held[:], []
         else:
-            for text, doc_id, n in zip(batch["text"].to_pylist(), batch["doc_id"].to_pylist(), batch["n"].to_pylist(), strict=True):
-                if held and held[0][0] == text:
-                    x = held[0]
-                    x[1] = doc_id if x[1] is None else x[1] if doc_id is None else min(x[1], doc_id)
-                    x[2] += n
+            for text, doc_id, rid, n in zip(*(batch[c].to_pylist() for c in ("text", "doc_id", "rid", "n")), strict=True):
+                if held and held[0][3] == text:
+                    smaller(held[0], doc_id, rid)
+                    held[0][2] += n
                 else:
                     out += held
-                    held[:] = [[text, doc_id, n]]
-        return {"text_sha256": [hashlib.sha256(x[0]).digest() for x in out], "keep_id": [x[1] for x in out], "group_size": [x[2] for x in out]} if out else None
+                    held[:] = [[doc_id, rid, n, text]]
+        return {"text_sha256": [hashlib.sha256(x[3]).digest() for x in out], "keep_id": [x[0] for x in out], "keep_rid": [x[1] for x in out], "group_size": [x[2] for x in out]} if out else None
 
     return each
 
 
 def digests():
     def each(batch: pa.RecordBatch) -> dict:
-        return {"doc_id": batch["doc_id"], "text_sha256": [hashlib.sha256(normalise(x)).digest() for x in batch["text"].to_pylist()]}
+        return {"doc_id": batch["doc_id"], "rid": batch["rid"], "text_sha256": [hashlib.sha256(normalise(x)).digest() for x in batch["text"].to_pylist()]}
 
     return each
 
 
+def numbered(docs: DataFrame) -> DataFrame:
+    return docs.select("doc_id", F.monotonically_increasing_id().alias("rid"), C.text_bytes().alias("text"))
+
+
 def group_texts(docs: DataFrame) -> DataFrame:
-    """One row for each distinct normalised text: its SHA-256, smallest doc_id and number of rows."""
-    spark = docs.sparkSession
-    rows = C.map_rows(docs.select("doc_id", C.text_bytes().alias("text")), fold, "text binary, doc_id long, n long")
+    """One row for each distinct normalised text: its SHA-256, its smallest doc_id (and that row's number), its rows."""
+    rows = C.map_rows(numbered(docs), fold, "text binary, doc_id long, rid long, n long")
     # the splitters need the beginning only, and a hash where many texts begin alike: the driver never samples whole texts
-    ranged = rows.repartitionByRange(C.width(spark), F.substring("text", 1, 48), F.xxhash64("text")).sortWithinPartitions("text", "doc_id")
+    ranged = rows.repartitionByRange(C.width(docs.sparkSession), F.substring("text", 1, 48), F.xxhash64("text")).sortWithinPartitions("text", "doc_id")
     return C.map_rows(ranged, neighbours, GROUPS, flush=True)
 
 
 def members(docs: DataFrame) -> DataFrame:
-    """Each row's doc_id, keep_id, group_size, kept and text_sha256 (hexadecimal).
+    """Each row's doc_id, rid (its number in the scan), keep_id, group_size, kept and text_sha256 (hexadecimal).
 
-    Null texts count as empty.  Rows that repeat a doc_id with equal texts count
-    in group_size and all of them are kept or dropped alike; an empty table
-    gives no rows; other columns are ignored.
+    Null texts count as empty.  Of rows that repeat a doc_id with equal texts the
+    first in the scan stays; a null doc_id stays only without another; an empty
+    table gives no rows; other columns are ignored.
     """
-    each = C.map_rows(docs.select("doc_id", C.text_bytes().alias("text")), digests, "doc_id long, text_sha256 binary")
+    each = C.map_rows(numbered(docs), digests, "doc_id long, rid long, text_sha256 binary")
     found = each.join(group_texts(docs), "text_sha256")
-    return found.select("doc_id", "keep_id", "group_size", F.col("doc_id").eqNullSafe(F.col("keep_id")).alias("kept"), F.lower(F.hex("text_sha256")).alias("text_sha256"))
+    return found.select("doc_id", "rid", "keep_id", "group_size", (F.col("rid") == F.col("keep_rid")).alias("kept"), F.lower(F.hex("text_sha256")).alias("text_sha256"))
 
 
 def dedup(docs: DataFrame) -> DataFrame:
-    """The rows whose text has no copy with a smaller doc_id; of rows alike in id and text too, one."""
-    kept = members(docs).where("kept").select(F.col("doc_id").alias("_keep")).distinct()
-    once = docs.withColumn("_doc", F.col("doc_id"))
-    return once.join(kept, F.col("_doc").eqNullSafe(F.col("_keep")), "left_semi").drop("_doc").dropDuplicates(["doc_id"])
+    """The rows that stay, with their columns as they are."""
+    kept = members(docs).where("kept").select(F.col("rid").alias("_rid"))
+    return docs.withColumn("_rid", F.monotonically_increasing_id()).join(kept, "_rid", "left_semi").select(*docs.columns)
 
 
 def op9_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return members(C.documents(spark, sf_dir))
+    return members(C.documents(spark, sf_dir)).drop("rid")
 
 
 SQL = r"""

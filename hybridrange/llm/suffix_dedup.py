@@ -218,7 +218,7 @@ def cut_out(length: int):
     return each
 
 
-FOUND = "h1 long, h2 long, first long, last long, w1 long, w2 long, at long"
+FOUND = "h1 long, h2 long, first long, last long, w1 long, w2 long, at long, sure boolean"
 
 
 def sorted_out(length: int):
@@ -227,17 +227,18 @@ def sorted_out(length: int):
     state = {"bytes": 0, "group": None}
 
     def settle() -> dict | None:
-        out: dict[str, list] = {x: [] for x in ("h1", "h2", "first", "last", "w1", "w2", "at")}
-        rows, held[:] = held[:], []
+        out: dict[str, list] = {x: [] for x in ("h1", "h2", "first", "last", "w1", "w2", "at", "sure")}
+        rows, held[:], known = held[:], [], set()
         state["bytes"] = 0
         if not rows:
             return None
         for (_, _, hot, h1, h2, many, at, back, _, raw), hit in zip(rows, repeats([(x[9], x[8], x[6], x[5]) for x in rows], length), strict=True):
-            found = [(h1, h2, a - back, b - back, None, None, None) for a, b in spans(hit)]
-            if hot and not many:
-                for i in np.flatnonzero(~hit).tolist():
-                    w = raw[i : i + length]
-                    found.append((h1, h2, i - back, i - back, signed(xxhash.xxh64_intdigest(w, 3)), signed(xxhash.xxh64_intdigest(w, 4)), signed((at + i) % 2**64)))
+            found = [(h1, h2, a - back, b - back, None, None, None, None) for a, b in spans(hit)]
+            for i, sure in enumerate(hit.tolist() if hot else ()):
+                w1, w2 = (signed(xxhash.xxh64_intdigest(raw[i : i + length], seed)) for seed in (3, 4))
+                if not sure or (w1, w2) not in known:  # what repeats here is a partner for what is open elsewhere
+                    found.append((h1, h2, i - back, i - back, w1, w2, signed((at + i) % 2**64), sure))
+                    known.add((w1, w2))
             for row in found:
                 for k, v in zip(out, row, strict=True):
                     out[k].append(v)
@@ -294,8 +295,8 @@ def repeated_starts(rows: DataFrame, length: int = LENGTH) -> DataFrame:
     groups = bits.repartition(C.width(spark), "key", "salt").sortWithinPartitions("key", "salt")
     found = C.cut(C.map_rows(groups, lambda: sorted_out(length), FOUND, flush=True), "found")
     open_ = found.where("w1 is not null")
-    again = open_.groupBy("w1", "w2").agg(F.min("at").alias("x"), F.max("at").alias("y")).where("x <> y").select("w1", "w2")
-    starts = found.where("w1 is null").select(*context, "first", "last").union(open_.join(again, ["w1", "w2"]).select(*context, "first", "last"))
+    again = open_.groupBy("w1", "w2").agg(F.min("at").alias("x"), F.max("at").alias("y"), F.max("sure").alias("sure")).where("x <> y or sure").select("w1", "w2")
+    starts = found.where("w1 is null").select(*context, "first", "last").union(open_.where("not sure").join(again, ["w1", "w2"]).select(*context, "first", "last"))
     sole = every.join(starts, context).select("rid", (F.col("p") + F.col("first")).alias("a"), (F.col("p") + F.col("last")).alias("b"))
     copies = one.where((F.col("n") > 1) & (F.col("left") + F.col("right") >= length)).select(*context)
     whole = every.join(copies, context).select("rid", (F.col("p") - F.col("left")).cast("long").alias("a"), F.least(F.col("p"), F.col("p") + F.col("right") - length).cast("long").alias("b"))
