@@ -1,6 +1,7 @@
 """SentencePiece encoding and decoding by a max-plus parallel scan.
 
-The pieces of a public model get additive integer scores by rank, and a text's
+The pieces of a public model (of merges, so its scores are ranks) get additive
+integer scores by rank, and a text's
 encoding is the segmentation of greatest score, on ties with the longest last
 piece.  No piece has a word mark after another character, so a text falls into
 units (word marks and what follows) that are solved apart and remembered.  A
@@ -12,6 +13,7 @@ entry states flows right to left, and each chunk is backtraced by itself.
 
 from __future__ import annotations
 
+import hashlib
 import os
 import re
 from itertools import chain
@@ -38,142 +40,170 @@ UNIT = re.compile(f"{MARK}*[^{MARK}\n]+|{MARK}+|\n")
 
 
 class Pieces:
-    """Scores, prefixes and ids of a model's pieces."""
+    """Scores and ids of a model's pieces, and the automaton that finds them all in a text."""
 
     def __init__(self, model: str = MODEL):
+        import ahocorasick
         import sentencepiece
 
         coder = sentencepiece.SentencePieceProcessor(model_file=model)
         size = coder.get_piece_size()
         self.texts = [coder.id_to_piece(i) for i in range(size)]
-        self.bytes = {i: int(self.texts[i][3:5], 16) for i in range(size) if coder.is_byte(i)}
-        self.byte_id = {b: i for i, b in self.bytes.items()}
-        plain = [i for i in range(size) if i not in self.bytes and not coder.is_control(i) and not coder.is_unknown(i)]
+        low = {i: int(self.texts[i][3:5], 16) for i in range(size) if coder.is_byte(i)}
+        self.byte_id = {b: i for i, b in low.items()}
+        plain = [i for i in range(size) if i not in low and not coder.is_control(i) and not coder.is_unknown(i)]
         total = sum(1 / r for r in range(1, len(plain) + 1))
         self.ids = {self.texts[p]: p for p in plain}
         self.score = {self.texts[p]: round(-1e6 * log(r * total)) for r, p in enumerate(plain, 1)}
         self.fall = min(self.score.values()) - 10_000_000  # a byte of a character without piece
         self.reach = max(map(len, self.score))
-        self.next: dict[str, int | None] = {t[:n]: None for t in self.score for n in range(1, len(t))}
-        self.next |= self.score
+        self.by_id = np.full(size, self.fall, np.int64)
+        self.spelling = [bytes([low[i]]) if i in low else t.replace(MARK, " ").encode() for i, t in enumerate(self.texts)]
+        self.finder = ahocorasick.Automaton()
+        for t, s in self.score.items():
+            self.finder.add_word(t, (len(t), s))
+            self.by_id[self.ids[t]] = s
+        self.finder.make_automaton()
         self.memo: dict[str, tuple[int, ...]] = {}
 
-    def steps(self, text: str, i: int, end: int):
-        """(length, score) of each piece or byte sequence that starts at i, up to ``end``."""
-        get, single = self.next.get, False
-        for j in range(i + 1, min(end, i + self.reach) + 1):
-            s = get(text[i:j], NONE)
-            if s == NONE:
-                break
-            if s is not None:
-                single |= j == i + 1
-                yield j - i, s
-        if not single:
-            yield 1, self.fall * len(text[i].encode("utf-8", "surrogatepass"))
-
-    def solve(self, text: str, entry: list[int], stop: int) -> tuple[list[int], list[int]]:
+    def solve(self, text: str, entry: list[int], stop: int, apart: bool = False) -> tuple[list[int], list[int]]:
         """Best scores and last piece lengths at every place of ``text``; pieces start before ``stop``.
 
-        ``entry[i]`` is the score of reaching place i from outside, NONE if none does.
+        ``entry[i]`` is the score of reaching place i from outside, NONE if none
+        does.  With ``apart`` a line feed starts anew.
         """
-        n = len(text)
+        n, score = len(text), self.score
         best = [NONE] * (n + 1)
         best[: len(entry)] = entry[: n + 1]
         last = [0] * (n + 1)
-        for i in range(min(stop, n)):
-            v = best[i]
-            if v == NONE:
-                continue
-            for size, s in self.steps(text, i, n):
-                # from left to right the first of equal scores is the longest piece
-                if v + s > best[i + size]:
-                    best[i + size] = v + s
-                    last[i + size] = size
+        bare = [i for i, c in enumerate(text) if c not in score]  # characters that may have to be spelled in bytes
+        bare.append(n)
+        k = 0
+        # matches come by their ends, the longest first, so of equal scores the longest last piece stays
+        for end, (size, s) in self.finder.iter(text):
+            while bare[k] < end:
+                self.fallen(text, bare[k], best, last, stop, apart)
+                k += 1
+            at = end + 1 - size
+            if at < stop and (v := best[at] + s) > best[end + 1] and v > NONE:
+                best[end + 1] = v
+                last[end + 1] = size
+        for i in bare[k:-1]:
+            self.fallen(text, i, best, last, stop, apart)
         return best, last
 
+    def fallen(self, text: str, i: int, best: list[int], last: list[int], stop: int, apart: bool) -> None:
+        """A character without a piece of its own."""
+        if apart and text[i] == "\n":
+            best[i + 1] = 0
+        elif i < stop and best[i] > NONE and (v := best[i] + self.fall * len(self.raw(text[i]))) > best[i + 1]:
+            best[i + 1], last[i + 1] = v, 1
+
     def spelled(self, piece: str) -> tuple[int, ...]:
         p = self.ids.get(piece)
         return (p,) if p is not None else tuple(self.byte_id[b] for b in self.raw(piece))
 
     def raw(self, piece: str) -> bytes:
         """Bytes of a character without piece; a private stand-in is the word mark itself."""
-        return piece.replace("▁", MARK).encode("utf-8", "surrogatepass")
-
-    def unit(self, text: str) -> tuple[int, ...]:
-        if (found := self.memo.get(text)) is not None:
-            return found
-        _, last = self.solve(text, [0], len(text))
-        at, out = len(text), []
-        while at:
-            out.append(self.spelled(text[at - last[at] : at]))
-            at -= last[at]
-        found = tuple(chain.from_iterable(reversed(out)))
-        if len(self.memo) >= MEMO:
+        return piece.replace("﷐", MARK).encode("utf-8", "surrogatepass")
+
+    def learn(self, units: list[str]) -> None:
+        """Solves the units that aren't remembered, all in one pass."""
+        new = [u for u in set(units) if u not in self.memo]
+        if not new:
+            return
+        if len(self.memo) + len(new) > MEMO:
             self.memo.clear()
-        self.memo[text] = found
-        return found
+            new = list(set(units))
+        if "\n" in new:
+            new.remove("\n")
+            self.memo["\n"] = self.spelled("\n")
+        text = "\n".join(new)
+        _, last = self.solve(text, [0], len(text), apart=True)
+        end, ids, spelled, memo = 0, self.ids.get, self.spelled, self.memo
+        for unit in new:
+            start, end = end, end + len(unit)
+            at, out = end, []
+            while at > start:
+                size = last[at]
+                piece = text[at - size : at]
+                p = ids(piece)
+                if p is not None:
+                    out.append(p)
+                else:
+                    out += reversed(spelled(piece))
+                at -= size
+            out.reverse()
+            memo[unit] = tuple(out)
+            end += 1
+
+    def plain(self, text: str) -> list[int]:
+        """Ids of a text whose spaces are word marks."""
+        units = UNIT.findall(text)
+        self.learn(units)
+        return list(chain.from_iterable(map(self.memo.__getitem__, units)))
 
     def encode(self, text: str) -> list[int]:
         """Ids of a whole text; literal word marks are spelled in bytes."""
-        out: list[int] = []
-        for i, part in enumerate(text.split(MARK)):
-            if i:
-                out += [self.byte_id[b] for b in MARK.encode()]
-            out += chain.from_iterable(map(self.unit, UNIT.findall(part.replace(" ", MARK))))
-        return out
+        return self.plain(marked(text))
 
     def decode(self, ids: list[int]) -> str:
-        get, texts = self.bytes.get, self.texts
-        out, low = [], []
-        for i in ids:
-            if (b := get(i)) is not None:
-                low.append(b)
-                continue
-            if low:
-                out.append(bytes(low).decode("utf-8", "surrogatepass"))
-                low = []
-            out.append(texts[i].replace(MARK, " "))
-        if low:
-            out.append(bytes(low).decode("utf-8", "surrogatepass"))
-        return "".join(out)
-
-    def forced(self, text: str) -> list[int]:
-        """Places within a text that every segmentation cuts: before word marks that follow something else, and around line feeds."""
-        return [m.start() for m in UNIT.finditer(text)][1:]
+        return b"".join(map(self.spelling.__getitem__, ids)).decode("utf-8", "surrogatepass")
+
+    def cuts(self, text: str, size: int) -> tuple[int, int] | None:
+        """The first and last place that every segmentation cuts, of those that no state at the borders reaches."""
+        found = [m.start() for m in UNIT.finditer(text) if self.reach <= m.start() < size]
+        return (found[0], found[-1]) if found else None
 
     def matrix(self, text: str, size: int) -> np.ndarray:
         """Best scores from entering at place i (row) to leaving at place size + j (column), of pieces that start before ``size``."""
-        cuts = [c for c in self.forced(text) if self.reach <= c < size]
-        first, final = (cuts[0], cuts[-1]) if cuts else (size, 0)
+        cuts = self.cuts(text, size)
+        first, final = cuts or (len(text), 0)
         out = np.full((self.reach, self.reach), NONE, np.int64)
-        middle = 0
         if cuts:
-            for m in UNIT.finditer(text, first, final):
-                middle += self.total(m[0])
-        tail = self.solve(text[final:], [0], size - final)[0] if cuts else None
+            middle = int(self.by_id[self.plain(text[first:final])].sum())
+            tail = self.solve(text[final:], [0], size - final)[0]
         for i in range(min(self.reach, len(text) + 1)):
             if i >= size:  # a chunk shorter than a piece is passed over
                 if i - size < self.reach:
                     out[i, i - size] = 0
                 continue
-            head = self.solve(text[: first if cuts else len(text)], [NONE] * i + [0], first)[0]
+            head = self.solve(text[:first], [NONE] * i + [0], min(first, size))[0]
             for j in range(self.reach):
-                at = size + j
-                if at <= len(text):
-                    v = head[first] + middle + tail[at - final] if cuts and tail[at - final] != NONE and head[first] != NONE else NONE if cuts else head[at]
-                    out[i, j] = max(v, NONE)
+                if (at := size + j) <= len(text):
+                    out[i, j] = head[at] if not cuts else head[first] + middle + tail[at - final] if tail[at - final] > NONE and head[first] > NONE else NONE
+        return np.maximum(out, NONE)
+
+    def entries(self, text: str, size: int, entry: list[int]) -> np.ndarray:
+        """For each exit state the entry state of the best way; where the chunk is cut it is the same for all."""
+        cuts = self.cuts(text, size)
+        head = text[: cuts[0]] if cuts else text
+        _, last = self.solve(head, entry, min(size, len(head)))
+        out = np.zeros(self.reach, np.int64)
+        for j in range(self.reach):
+            at = cuts[0] if cuts else size + j
+            if at <= len(text):
+                while last[at]:
+                    at -= last[at]
+                out[j] = at if at < self.reach else 0  # no way leads to that exit
         return out
 
-    def total(self, text: str) -> int:
-        return self.solve(text, [0], len(text))[0][len(text)]
-
-    def back(self, last: list[int], at: int) -> list[int]:
-        """Places of a backtrace from ``at`` down to the entry state."""
-        out = [at]
+    def chunk(self, text: str, size: int, entry: list[int], leave: int) -> list[int]:
+        """Ids of a chunk from its entry state to its exit."""
+        cuts = self.cuts(text, size)
+        if not cuts:
+            return self.backtrace(text, self.solve(text, entry, size)[1], size + leave)
+        first, final = cuts
+        head = self.backtrace(text, self.solve(text[:first], entry, first)[1], first)
+        tail = self.backtrace(text[final:], self.solve(text[final:], [0], size - final)[1], size + leave - final)
+        return head + self.plain(text[first:final]) + tail
+
+    def backtrace(self, text: str, last: list[int], at: int) -> list[int]:
+        out: list[tuple[int, ...]] = []
         while last[at]:
+            out.append(self.spelled(text[at - last[at] : at]))
             at -= last[at]
-            out.append(at)
-        return out
+        return list(chain.from_iterable(reversed(out)))
 
 
 def times(a: np.ndarray, b: np.ndarray) -> np.ndarray:
@@ -196,14 +226,6 @@ def marked(text: str) -> str:
     return text.replace(MARK, "﷐").replace(" ", MARK)
 
 
-def ids_of(pieces: Pieces, text: str, places: list[int]) -> list[int]:
-    out: list[int] = []
-    for a, b in zip(places, places[1:], strict=False):
-        part = text[a:b]
-        out += [pieces.byte_id[x] for x in MARK.encode()] if part == "﷐" else pieces.spelled(part)
-    return out
-
-
 def scan(parts: DataFrame, model: str) -> DataFrame:
     """(rid, c, entry): the scores at which every chunk's first places are reached, by blocks of FAN matrices."""
     reach = loaded(model).reach
@@ -313,16 +335,8 @@ def encode_giants(giants: DataFrame, model: str, chunk: int) -> DataFrame:
         pieces = loaded(model)
 
         def each(batch: pa.RecordBatch) -> dict:
-            out = []
-            for text, n, entry in zip(batch["text"].to_pylist(), batch["size"].to_pylist(), batch["entry"].to_pylist(), strict=True):
-                _, last = pieces.solve(text, np.frombuffer(entry, np.int64).tolist(), n)
-                f = np.zeros(pieces.reach, np.int64)
-                for j in range(pieces.reach):
-                    if n + j <= len(text):
-                        at = pieces.back(last, n + j)[-1]
-                        f[j] = at if at < pieces.reach else 0  # no way leads to that exit
-                out.append(f.tobytes())
-            return {"rid": batch["rid"], "c": batch["c"], "f": out}
+            rows = zip(*(batch[c].to_pylist() for c in ("text", "size", "entry")), strict=True)
+            return {"rid": batch["rid"], "c": batch["c"], "f": [pieces.entries(t, n, np.frombuffer(e, np.int64).tolist()).tobytes() for t, n, e in rows]}
 
         return each
 
@@ -330,11 +344,8 @@ def encode_giants(giants: DataFrame, model: str, chunk: int) -> DataFrame:
         pieces = loaded(model)
 
         def each(batch: pa.RecordBatch) -> dict:
-            out = []
-            for text, n, entry, leave in zip(*(batch[c].to_pylist() for c in ("text", "size", "entry", "leave")), strict=True):
-                _, last = pieces.solve(text, np.frombuffer(entry, np.int64).tolist(), n)
-                out.append(ids_of(pieces, text, pieces.back(last, n + leave)[::-1]))
-            return {"rid": batch["rid"], "c": batch["c"], "ids": out}
+            rows = zip(*(batch[c].to_pylist() for c in ("text", "size", "entry", "leave")), strict=True)
+            return {"rid": batch["rid"], "c": batch["c"], "ids": [pieces.chunk(t, n, np.frombuffer(e, np.int64).tolist(), x) for t, n, e, x in rows]}
 
         return each
 
@@ -344,14 +355,16 @@ def encode_giants(giants: DataFrame, model: str, chunk: int) -> DataFrame:
 
 
 RESULT = "doc_id long, ids array<int>, decoded string, exact boolean"
+DIGEST = "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string, exact boolean"
 
 
-def encode(docs: DataFrame, model: str = MODEL, chunk: int = CHUNK) -> DataFrame:
+def encode(docs: DataFrame, model: str = MODEL, chunk: int = CHUNK, digest: bool = False) -> DataFrame:
     """(doc_id, ids, decoded, exact) of every row; ``exact`` tells that decoding gives the text back.
 
-    Null counts as empty and has no ids; rows that repeat a doc_id are encoded
-    each; an empty table gives no rows; documents longer than ``chunk`` code
-    points go through the parallel scan.
+    With ``digest`` the ids and the decoded text are given as SHA-256 (ids as
+    little-endian 32-bit numbers).  Null counts as empty and has no ids; rows that
+    repeat a doc_id are encoded each; an empty table gives no rows; documents
+    longer than ``chunk`` code points go through the parallel scan.
     """
     text = F.coalesce("text", F.lit(""))
     rows = docs.select(F.monotonically_increasing_id().alias("rid"), "doc_id", text.alias("text"))
@@ -364,22 +377,25 @@ def encode(docs: DataFrame, model: str = MODEL, chunk: int = CHUNK) -> DataFrame
                 texts = batch["text"].to_pylist()
                 ids = batch["ids"].to_pylist() if ids_given else [pieces.encode(x) for x in texts]
                 back = [pieces.decode(x) for x in ids]
-                return {"doc_id": batch["doc_id"], "ids": ids, "decoded": back, "exact": [a == b for a, b in zip(texts, back, strict=True)]}
+                out = {"doc_id": batch["doc_id"], "exact": [a == b for a, b in zip(texts, back, strict=True)]}
+                if not digest:
+                    return out | {"ids": ids, "decoded": back}
+                sha = lambda x: hashlib.sha256(x).hexdigest()
+                return out | {"n_tokens": list(map(len, ids)), "ids_sha256": [sha(np.array(x, "<i4").tobytes()) for x in ids], "decoded_sha256": [sha(x.encode("utf-8", "surrogatepass")) for x in back]}
 
             return each
 
         return make
 
-    small = C.map_rows(rows.where(F.length("text") <= chunk).select("doc_id", "text"), finished(False), RESULT)
+    result = DIGEST if digest else RESULT
+    small = C.map_rows(rows.where(F.length("text") <= chunk).select("doc_id", "text"), finished(False), result)
     giants = C.cut(rows.where(F.length("text") > chunk), "giants")
-    large = C.map_rows(giants.join(encode_giants(giants, model, chunk), "rid").select("doc_id", "text", "ids"), finished(True), RESULT)
+    large = C.map_rows(giants.join(encode_giants(giants, model, chunk), "rid").select("doc_id", "text", "ids"), finished(True), result)
     return small.union(large)
 
 
 def op5_pieces(spark: SparkSession, sf_dir: str) -> DataFrame:
-    found = encode(C.documents(spark, sf_dir))
-    packed = F.sha2(F.array_join(F.col("ids").cast("array<string>"), " "), 256)
-    return found.select("doc_id", F.size("ids").alias("n_tokens"), packed.alias("ids_sha256"), F.sha2(F.col("decoded").cast("binary"), 256).alias("decoded_sha256"), "exact")
+    return encode(C.documents(spark, sf_dir), digest=True)
 
 
 QUERIES = {"op5_pieces": op5_pieces}
