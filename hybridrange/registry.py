@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import importlib
 
-MODULES: tuple[str, ...] = ("methods",)
+MODULES: tuple[str, ...] = ("methods", "workloads", "relational", "streaming.queries", "sources.index_reader")
 
 
 def _all(name: str) -> dict:
