@@ -22,10 +22,10 @@ from pyspark.sql import functions as F
 from . import common as C
 
 #: Most labelled documents used to fit the classifier, chosen by a hash of their id.
-SAMPLE = 8_000
+SAMPLE = 6_000
 ROUNDS = 80
 #: Words whose summed weight a task remembers.
-MEMO = 400_000
+MEMO = 150_000
 ENDS = re.compile(rb"[.!?\n]+")
 STRIP = b".,;:!?()[]{}\"'|*#$%&_-"
 
@@ -44,6 +44,23 @@ def bags_of(text: bytes) -> list[set[bytes]]:
     return [x for x in parts if x]
 
 
+def words_of(text: bytes) -> set[bytes]:
+    return {w for x in text.lower().split() for y in ENDS.split(x) if (w := y.strip(STRIP))}
+
+
+class Lookup(dict):
+    """The features of a word that are known, bounded."""
+
+    def __init__(self, known: dict):
+        self.known = known
+
+    def __missing__(self, word: bytes) -> tuple[bytes, ...]:
+        if len(self) >= MEMO // 2:
+            self.clear()
+        x = self[word] = tuple(f for f in features(word) if f in self.known)
+        return x
+
+
 @dataclass
 class Model:
     """Weights of word features, a sentence's bias and the chance of a toxic document without an offending sentence."""
@@ -95,28 +112,27 @@ def fit(texts: list[bytes], toxic: list[int], rounds: int = ROUNDS, ratio: float
     y = np.array(toxic, float)
     if not len(y) or not y.any():
         return Model({}, -12.0, 1e-3)
-    bags, held, seen = [], ({}, {}), {}
-    for text, t in zip(texts, toxic, strict=True):
-        bag = bags_of(text) or [set()]
-        bags.append(bag)
-        own = set()
-        for w in set().union(*bag):
-            if w not in seen:
-                seen[w] = features(w)
-            own |= seen[w]
-        for f in own:
-            held[t][f] = held[t].get(f, 0) + 1
     n, least = (len(y) - y.sum() + 1, y.sum() + 1), 5 if y.sum() >= 200 else 3
-    chosen = sorted(f for f, a in held[1].items() if a >= least and (a + 0.5) / n[1] >= ratio * (held[0].get(f, 0) + 0.5) / n[0])
+    # only what recurs in toxic documents is ever counted in the others, so memory stays with the few
+    toxic_n: dict[bytes, int] = {}
+    for text in (t for t, k in zip(texts, toxic, strict=True) if k):
+        for f in set().union(*map(features, words_of(text))):
+            toxic_n[f] = toxic_n.get(f, 0) + 1
+    toxic_n = {f: a for f, a in toxic_n.items() if a >= least}
+    look, other_n = Lookup(toxic_n), dict.fromkeys(toxic_n, 0)
+    for text in (t for t, k in zip(texts, toxic, strict=True) if not k):
+        for f in {f for w in words_of(text) for f in look[w]}:
+            other_n[f] += 1
+    chosen = sorted(f for f, a in toxic_n.items() if (a + 0.5) / n[1] >= ratio * (other_n[f] + 0.5) / n[0])
     vocab = {f: i for i, f in enumerate(chosen)}
-    ids = {w: [vocab[f] for f in fs if f in vocab] for w, fs in seen.items()}
-    doc = np.repeat(np.arange(len(bags)), [len(b) for b in bags])
-    word, sent = [], []
-    for s, part in enumerate(x for b in bags for x in b):
-        for w in part:
-            if i := ids[w]:
-                word += i
-                sent += [s] * len(i)
+    look, doc, word, sent = Lookup(vocab), [], [], []
+    for d, text in enumerate(texts):
+        for part in bags_of(text) or [set()]:
+            ids = [vocab[f] for w in part for f in look[w]]
+            word += ids
+            sent += [len(doc)] * len(ids)
+            doc.append(d)
+    doc = np.array(doc, np.int64)
     word, sent = np.array(word, np.int64), np.array(sent, np.int64)
     theta = np.concatenate([np.zeros(len(vocab)), [-7.0, -3.0]])  # features, bias, leak's logit
     m, v = np.zeros_like(theta), np.zeros_like(theta)
