@@ -23,7 +23,7 @@ from pyspark.sql import types as T
 from . import common as C
 
 #: Most documents of a block of the flight phase.
-BLOCK = 20_000
+BLOCK = 2_000
 #: No source is taken more often than this.
 CAP = 3.0
 TINY = 1e-9
