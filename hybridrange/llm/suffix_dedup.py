@@ -5,12 +5,12 @@ dealt out by content.  Minima of k-gram hashes over every LENGTH-long string
 mark anchors: two equal strings hold an anchor at the same place, hence the
 bytes around equal anchors (contexts) hold all repeats.  Equal contexts are
 folded first.  Contexts that differ meet under the hash of the part that a
-string to the left, or to the right, of the anchor must cover, and there a
-suffix array decides: only suffixes smaller than their successors are sorted
-directly, the rest is induced by scans over the buckets of first bytes, and
-adjacent common prefixes of LENGTH bytes mark repeats.  Groups beyond GROUP
-contexts are sorted in parts, and what a part leaves open is settled by exact
-counts of the open strings.
+string to the left, or to the right, of the anchor must cover.  There each is trimmed to
+what it shares with its neighbours in order, equal ones are folded, and a suffix
+array decides: only suffixes smaller than their successors are sorted directly,
+the rest is induced by scans over the buckets of first bytes, and adjacent common
+prefixes of LENGTH bytes mark repeats.  The strings of groups beyond GROUP
+contexts are settled by exact counts instead.
 """
 
 from __future__ import annotations
@@ -25,10 +25,10 @@ from . import common as C
 
 LENGTH = 400
 GRAM = 32
-#: Contexts of one key that are sorted together.
-GROUP = 4096
-#: Bytes of whole groups that are sorted at once.
-BATCH = 400_000
+#: Contexts of one key that one task takes; beyond, every string is counted.
+GROUP = 150_000
+#: Bytes that are sorted at once; a group with more distinct bytes is counted in the task.
+BATCH, MOST = 150_000, 500_000
 _BASE, _INVERSE = 0x9E3779B97F4A7C15, pow(0x9E3779B97F4A7C15, -1, 2**64)
 _POWERS: dict[str, np.ndarray] = {}
 
@@ -204,13 +204,13 @@ def cut_out(length: int):
     half = length // 2 - GRAM // 2
 
     def each(batch: pa.RecordBatch) -> dict | None:
-        out: dict[str, list] = {x: [] for x in ("key", "salt", "hot", "h1", "h2", "many", "at", "back", "judged", "bytes")}
+        out: dict[str, list] = {x: [] for x in ("key", "salt", "hot", "h1", "h2", "many", "at", "back", "judged", "bytes", "side")}
         for rid, text, asked in zip(batch["rid"].to_pylist(), batch["text"].to_pylist(), batch["asked"].to_pylist(), strict=True):
             for a in asked:
                 p, left = a["p"], a["side"] == 0
                 low = max(0, p - length + GRAM) if left else max(0, p - half + 1)
                 high = min(len(text), p - half + length if left else p + length)
-                row = (a["key"], a["salt"], a["hot"], a["h1"], a["h2"], a["many"], place(rid, low), p - low, (p - half if left else p) - low + 1, text[low:high])
+                row = (a["key"], a["salt"], a["hot"], a["h1"], a["h2"], a["many"], place(rid, low), p - low, (p - half if left else p) - low + 1, text[low:high], a["side"])
                 for k, v in zip(out, row, strict=True):
                     out[k].append(v)
         return out if out["key"] else None
@@ -221,42 +221,127 @@ def cut_out(length: int):
 FOUND = "h1 long, h2 long, first long, last long, w1 long, w2 long, at long, sure boolean"
 
 
-def sorted_out(length: int):
-    """Sorts whole groups in batches: repeated starts by context, from the anchor; of hot groups the open strings too."""
-    held: list[tuple] = []
-    state = {"bytes": 0, "group": None}
+def shared_start(x: bytes, y: bytes) -> int:
+    """Length of the common beginning."""
+    low, high = 0, min(len(x), len(y))
+    if x[:high] == y[:high]:
+        return high
+    while high - low > 1:
+        mid = (low + high) // 2
+        if x[:mid] == y[:mid]:
+            low = mid
+        else:
+            high = mid
+    return low
+
+
+def reach(parts: list[bytes]) -> tuple[list[int], list[int]]:
+    """The longest beginning that each part shares with another, and which: one of its neighbours in order has it."""
+    order, out, other = sorted(range(len(parts)), key=parts.__getitem__), [0] * len(parts), [0] * len(parts)
+    for i, j in zip(order, order[1:], strict=False):
+        n = shared_start(parts[i], parts[j])
+        for x, y in ((i, j), (j, i)):
+            if n >= out[x]:
+                out[x], other[x] = n, y
+    return out, other
+
+
+def trimmed(rows: list[tuple], length: int) -> tuple[bool, dict[bytes, list[tuple]]]:
+    """Contexts of one key cut to what others share, by their bytes: (row, start of the cut); too short ones are dropped.
+
+    True comes first if each is shared as a whole with one other context, so that
+    nothing is left to decide.
+    """
+    half = length // 2 - GRAM // 2
+    left = rows[0][8]  # the side
+    cores = [(back - half, back + GRAM) if left == 0 else (back, back + length - half + 1) for back in (r[6] for r in rows)]
+    lefts = [r[7][:a][::-1] for r, (a, _) in zip(rows, cores, strict=True)]
+    rights = [r[7][b:] for r, (_, b) in zip(rows, cores, strict=True)]
+    (before, by), (after, to) = reach(lefts), reach(rights)
+    out: dict[bytes, list[tuple]] = {}
+    plain = True
+    for i, (r, (a, b), x, y) in enumerate(zip(rows, cores, before, after, strict=True)):
+        if b + y - (a - x) >= length:
+            out.setdefault(r[7][a - x : b + y], []).append((r, a - x))
+            plain = plain and (rights[by[i]][:y] == rights[i][:y] or lefts[to[i]][:x] == lefts[i][:x])
+    return plain, out
+
+
+def counted(parts: list[tuple[bytes, int, int, bool]], length: int, slices: int = 16) -> list[np.ndarray]:
+    """As ``repeats``, by counting the strings of one slice of hashes after the other."""
+    hits = [np.zeros(x[1], bool) for x in parts]
+    for turn in range(slices):
+        seen: dict[bytes, tuple[int, list]] = {}
+        for i, (raw, judged, ident, many) in enumerate(parts):
+            for j in range(judged):
+                h = xxhash.xxh3_128_digest(raw[j : j + length])
+                if h[0] % slices == turn:
+                    first, at = seen.setdefault(h, (ident + j, []))
+                    if many or first != ident + j:
+                        at.append(None)
+                    at.append((i, j))
+        for _, at in seen.values():
+            if None in at:
+                for x in at:
+                    if x:
+                        hits[x[0]][x[1]] = True
+    return hits
+
+
+FIELDS = ("key", "h1", "h2", "many", "at", "judged", "back", "bytes", "side")
+
 
-    def settle() -> dict | None:
-        out: dict[str, list] = {x: [] for x in ("h1", "h2", "first", "last", "w1", "w2", "at", "sure")}
-        rows, held[:], known = held[:], [], set()
+def sorted_out(length: int):
+    """Repeated starts by context, from the anchor, of whole groups in batches; of hot groups the strings to count."""
+    group: list[tuple] = []
+    held: list[tuple[bytes, list[tuple]]] = []
+    state = {"bytes": 0, "key": None}
+    names = ("h1", "h2", "first", "last", "w1", "w2", "at", "sure")
+
+    def close_group() -> list[tuple]:
+        """Puts a group's strings to those to be sorted; gives what needs no sorting."""
+        plain, found = trimmed(group, length) if len(group) > 1 else (False, {})
+        group.clear()
+        if plain:
+            return [(r[1], r[2], cut - r[6], cut + len(raw) - length - r[6], None, None, None, None) for raw, of in found.items() for r, cut in of]
+        held.extend(found.items())
+        state["bytes"] += sum(map(len, found))
+        return []
+
+    def settle() -> list[tuple]:
+        out = []
+        if held:
+            # contexts of one text may overlap and be cut to the very same place, which is no repeat
+            idents = [{signed((r[4] + cut) % 2**64) for r, cut in of} for _, of in held]
+            parts = [(raw, len(raw) - length + 1, min(x), len(x) > 1 or any(r[3] for r, _ in of)) for (raw, of), x in zip(held, idents, strict=True)]
+            for (_, of), hit in zip(held, (repeats if state["bytes"] <= MOST else counted)(parts, length), strict=True):
+                runs = spans(hit)
+                out += [(r[1], r[2], a + cut - r[6], b + cut - r[6], None, None, None, None) for r, cut in of for a, b in runs]
+        held.clear()
         state["bytes"] = 0
-        if not rows:
-            return None
-        for (_, _, hot, h1, h2, many, at, back, _, raw), hit in zip(rows, repeats([(x[9], x[8], x[6], x[5]) for x in rows], length), strict=True):
-            found = [(h1, h2, a - back, b - back, None, None, None, None) for a, b in spans(hit)]
-            for i, sure in enumerate(hit.tolist() if hot else ()):
-                w1, w2 = (signed(xxhash.xxh64_intdigest(raw[i : i + length], seed)) for seed in (3, 4))
-                if not sure or (w1, w2) not in known:  # what repeats here is a partner for what is open elsewhere
-                    found.append((h1, h2, i - back, i - back, w1, w2, signed((at + i) % 2**64), sure))
-                    known.add((w1, w2))
-            for row in found:
-                for k, v in zip(out, row, strict=True):
-                    out[k].append(v)
-        return out if out["h1"] else None
+        return out
 
     def each(batch: pa.RecordBatch | None) -> dict | None:
+        out = []
         if batch is None:
-            return settle()
-        results = []
-        for row in zip(*(batch[c].to_pylist() for c in ("key", "salt", "hot", "h1", "h2", "many", "at", "back", "judged", "bytes")), strict=True):
-            if row[:2] != state["group"]:
-                if state["bytes"] > BATCH:
-                    results.append(settle())
-                state["group"] = row[:2]
-            held.append(row)
-            state["bytes"] += len(row[9])
-        results = [x for x in results if x]
-        return {k: [v for x in results for v in x[k]] for k in results[0]} if results else None
+            out += close_group()
+            out += settle()
+        else:
+            hot = batch["hot"].to_pylist()
+            for row, loose in zip(zip(*(batch[c].to_pylist() for c in FIELDS), strict=True), hot, strict=True):
+                if loose:
+                    _, h1, h2, many, at, judged, back, raw, _ = row
+                    for i in range(min(judged, len(raw) - length + 1)):
+                        w1, w2 = (signed(xxhash.xxh64_intdigest(raw[i : i + length], seed)) for seed in (3, 4))
+                        out.append((h1, h2, i - back, i - back, w1, w2, signed((at + i) % 2**64), many))
+                    continue
+                if row[0] != state["key"]:
+                    out += close_group()
+                    state["key"] = row[0]
+                    if state["bytes"] > BATCH:
+                        out += settle()
+                group.append(row)
+        return {k: [x[i] for x in out] for i, k in enumerate(names)} if out else None
 
     return each
 
@@ -289,10 +374,10 @@ def repeated_starts(rows: DataFrame, length: int = LENGTH) -> DataFrame:
     one = C.cut(one, "contexts")
     sides = one.select(*context, "rep", (F.col("n") > 1).alias("many"), F.posexplode(F.array("kl", "kr")).alias("side", "key")).where("key is not null")
     shared = sides.groupBy("key").agg(F.count("*").alias("k"), F.min("many").alias("settled")).where("k > 1 and not settled")
-    asked = sides.join(shared, "key").select("key", (F.col("k") > GROUP).alias("hot"), F.pmod(F.xxhash64("h1"), F.ceil(F.col("k") / GROUP)).cast("int").alias("salt"), *context, "many", "side", "rep")
+    asked = sides.join(shared, "key").select("key", (F.col("k") > GROUP).alias("hot"), F.when(F.col("k") > GROUP, F.pmod(F.xxhash64("h1"), F.ceil(F.col("k") / 1024))).otherwise(0).cast("int").alias("salt"), *context, "many", "side", "rep")
     by_text = asked.groupBy(F.col("rep.rid").alias("rid")).agg(F.collect_list(F.struct("key", "salt", "hot", *context, "many", "side", F.col("rep.p").alias("p"))).alias("asked"))
-    bits = C.map_rows(rows.join(by_text, "rid"), lambda: cut_out(length), "key long, salt int, hot boolean, h1 long, h2 long, many boolean, at long, back int, judged int, bytes binary")
-    groups = bits.repartition(C.width(spark), "key", "salt").sortWithinPartitions("key", "salt")
+    bits = C.map_rows(rows.join(by_text, "rid"), lambda: cut_out(length), "key long, salt int, hot boolean, h1 long, h2 long, many boolean, at long, back int, judged int, bytes binary, side int")
+    groups = bits.repartition(C.width(spark), "key", "salt").sortWithinPartitions("hot", "key")
     found = C.cut(C.map_rows(groups, lambda: sorted_out(length), FOUND, flush=True), "found")
     open_ = found.where("w1 is not null")
     again = open_.groupBy("w1", "w2").agg(F.min("at").alias("x"), F.max("at").alias("y"), F.max("sure").alias("sure")).where("x <> y or sure").select("w1", "w2")
