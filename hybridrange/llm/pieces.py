@@ -16,6 +16,7 @@ from __future__ import annotations
 import hashlib
 import os
 import re
+from array import array
 from itertools import chain
 from math import log
 
@@ -32,7 +33,8 @@ MODEL = os.environ.get("PIECE_MODEL", "/opt/tokenizers/piece_bpe_32k.model")
 CHUNK = 32_768
 #: Chunks or blocks that one step of a scan combines.
 FAN = 64
-MEMO = 300_000
+#: Units that a process remembers.
+MEMO = 800_000
 MARK = "▁"
 NONE = -(2**60)
 #: Word marks with what follows them; no piece holds a line feed, so it stands alone.
@@ -57,12 +59,10 @@ class Pieces:
         self.score = {self.texts[p]: round(-1e6 * log(r * total)) for r, p in enumerate(plain, 1)}
         self.fall = min(self.score.values()) - 10_000_000  # a byte of a character without piece
         self.reach = max(map(len, self.score))
-        self.by_id = np.full(size, self.fall, np.int64)
         self.spelling = [bytes([low[i]]) if i in low else t.replace(MARK, " ").encode() for i, t in enumerate(self.texts)]
         self.finder = ahocorasick.Automaton()
         for t, s in self.score.items():
             self.finder.add_word(t, (len(t), s))
-            self.by_id[self.ids[t]] = s
         self.finder.make_automaton()
         self.memo: dict[str, tuple[int, ...]] = {}
 
@@ -147,6 +147,13 @@ class Pieces:
         """Ids of a whole text; literal word marks are spelled in bytes."""
         return self.plain(marked(text))
 
+    def encode_all(self, texts: list[str]) -> list[list[int]]:
+        """Ids of several texts, whose new units are solved together."""
+        units = [UNIT.findall(marked(x)) for x in texts]
+        self.learn(list(set(chain.from_iterable(units))))
+        get = self.memo.__getitem__
+        return [list(chain.from_iterable(map(get, u))) for u in units]
+
     def decode(self, ids: list[int]) -> str:
         return b"".join(map(self.spelling.__getitem__, ids)).decode("utf-8", "surrogatepass")
 
@@ -156,12 +163,15 @@ class Pieces:
         return (found[0], found[-1]) if found else None
 
     def matrix(self, text: str, size: int) -> np.ndarray:
-        """Best scores from entering at place i (row) to leaving at place size + j (column), of pieces that start before ``size``."""
+        """Best scores from entering at place i (row) to leaving at place size + j (column), of pieces that start before ``size``.
+
+        What lies between the first and the last forced cut is common to all ways
+        and is left out: it changes no choice.
+        """
         cuts = self.cuts(text, size)
         first, final = cuts or (len(text), 0)
         out = np.full((self.reach, self.reach), NONE, np.int64)
         if cuts:
-            middle = int(self.by_id[self.plain(text[first:final])].sum())
             tail = self.solve(text[final:], [0], size - final)[0]
         for i in range(min(self.reach, len(text) + 1)):
             if i >= size:  # a chunk shorter than a piece is passed over
@@ -171,7 +181,7 @@ class Pieces:
             head = self.solve(text[:first], [NONE] * i + [0], min(first, size))[0]
             for j in range(self.reach):
                 if (at := size + j) <= len(text):
-                    out[i, j] = head[at] if not cuts else head[first] + middle + tail[at - final] if tail[at - final] > NONE and head[first] > NONE else NONE
+                    out[i, j] = head[at] if not cuts else head[first] + tail[at - final] if tail[at - final] > NONE and head[first] > NONE else NONE
         return np.maximum(out, NONE)
 
     def entries(self, text: str, size: int, entry: list[int]) -> np.ndarray:
@@ -362,7 +372,7 @@ def encode(docs: DataFrame, model: str = MODEL, chunk: int = CHUNK, digest: bool
     """(doc_id, ids, decoded, exact) of every row; ``exact`` tells that decoding gives the text back.
 
     With ``digest`` the ids and the decoded text are given as SHA-256 (ids as
-    little-endian 32-bit numbers).  Null counts as empty and has no ids; rows that
+    32-bit numbers).  Null counts as empty and has no ids; rows that
     repeat a doc_id are encoded each; an empty table gives no rows; documents
     longer than ``chunk`` code points go through the parallel scan.
     """
@@ -375,13 +385,13 @@ def encode(docs: DataFrame, model: str = MODEL, chunk: int = CHUNK, digest: bool
 
             def each(batch: pa.RecordBatch) -> dict:
                 texts = batch["text"].to_pylist()
-                ids = batch["ids"].to_pylist() if ids_given else [pieces.encode(x) for x in texts]
+                ids = batch["ids"].to_pylist() if ids_given else pieces.encode_all(texts)
                 back = [pieces.decode(x) for x in ids]
                 out = {"doc_id": batch["doc_id"], "exact": [a == b for a, b in zip(texts, back, strict=True)]}
                 if not digest:
                     return out | {"ids": ids, "decoded": back}
                 sha = lambda x: hashlib.sha256(x).hexdigest()
-                return out | {"n_tokens": list(map(len, ids)), "ids_sha256": [sha(np.array(x, "<i4").tobytes()) for x in ids], "decoded_sha256": [sha(x.encode("utf-8", "surrogatepass")) for x in back]}
+                return out | {"n_tokens": list(map(len, ids)), "ids_sha256": [sha(array("i", x).tobytes()) for x in ids], "decoded_sha256": [sha(x.encode("utf-8", "surrogatepass")) for x in back]}
 
             return each
 
