@@ -5,6 +5,7 @@ from __future__ import annotations
 import tempfile
 import uuid
 from collections.abc import Callable, Iterator
+from contextlib import contextmanager
 
 import numpy as np
 import pyarrow as pa
@@ -82,6 +83,26 @@ def cut(df: DataFrame, name: str = "cut") -> DataFrame:
     return spark.read.schema(df.schema).parquet(place)
 
 
+def stable(docs: DataFrame) -> DataFrame:
+    """Rows whose number in the scan is the same whenever and with whichever columns they are read: files as they are, anything else cut first."""
+    node = docs._jdf.queryExecution().analyzed()
+    while node.nodeName() in ("Project", "Filter", "SubqueryAlias", "View"):
+        node = node.children().head()
+    return docs if node.nodeName().startswith(("LogicalRelation", "Relation")) else cut(docs, "rows")
+
+
+@contextmanager
+def rows_per_batch(spark: SparkSession, rows: int) -> Iterator[None]:
+    """Fewer rows in an Arrow batch while large binary rows are worked on; what runs inside has to be eager."""
+    name = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    before = spark.conf.get(name)
+    spark.conf.set(name, rows)
+    try:
+        yield
+    finally:
+        spark.conf.set(name, before)
+
+
 def drop_cut(df: DataFrame) -> None:
     """Deletes a table of ``cut`` that nothing reads any more."""
     spark = df.sparkSession

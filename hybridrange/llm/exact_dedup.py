@@ -97,6 +97,7 @@ def members(docs: DataFrame) -> DataFrame:
     first in the scan stays; a null doc_id stays only without another; an empty
     table gives no rows; other columns are ignored.
     """
+    docs = C.stable(docs)
     each = C.map_rows(numbered(docs), digests, "doc_id long, rid long, text_sha256 binary")
     found = each.join(group_texts(docs), "text_sha256")
     return found.select("doc_id", "rid", "keep_id", "group_size", (F.col("rid") == F.col("keep_rid")).alias("kept"), F.lower(F.hex("text_sha256")).alias("text_sha256"))
@@ -104,6 +105,7 @@ def members(docs: DataFrame) -> DataFrame:
 
 def dedup(docs: DataFrame) -> DataFrame:
     """The rows that stay, with their columns as they are."""
+    docs = C.stable(docs)
     kept = members(docs).where("kept").select(F.col("rid").alias("_rid"))
     return docs.withColumn("_rid", F.monotonically_increasing_id()).join(kept, "_rid", "left_semi").select(*docs.columns)
 

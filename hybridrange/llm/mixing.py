@@ -133,7 +133,7 @@ def mix(docs: DataFrame, weights: list[float] | None = None, cap: float = CAP, s
     most = max((v[1] for v in by.values()), default=0)
     while True:
         last = most <= block
-        deal = F.lit(0).cast("long") if last else F.pmod(F.xxhash64("turn", "rid"), F.col("blocks"))
+        deal = F.lit(0).cast("long") if last else F.pmod(F.xxhash64("turn", "size"), F.col("blocks"))
         flown = C.cut(open_.withColumn("block", deal).drop("blocks").groupBy("source", "block").applyInArrow(steps(seed, last), kind), "flight")
         settled.append(flown.where("p = 0 or p = 1").select("rid", "p"))
         if last:
@@ -149,10 +149,10 @@ def mix(docs: DataFrame, weights: list[float] | None = None, cap: float = CAP, s
 
 def mixed_rows(docs: DataFrame, **how) -> DataFrame:
     """The rows of the mix with the columns of ``docs``, each as often as it is taken."""
-    names = docs.columns
-    drawn = mix(docs, **how).select(F.col("rid").alias("_rid"), "copies").where("copies > 0")
+    names, docs = docs.columns, C.stable(docs)
+    drawn = mix(docs, **how).where("copies > 0").select(F.col("rid").alias("_rid"), F.col("copies").alias("_copies"))
     rows = docs.withColumn("_rid", F.monotonically_increasing_id()).join(drawn, "_rid")
-    return rows.withColumn("_turn", F.explode(F.sequence(F.lit(1).cast("long"), F.col("copies")))).select(*names)
+    return rows.withColumn("_turn", F.explode(F.sequence(F.lit(1).cast("long"), F.col("_copies")))).select(*names)
 
 
 def op7_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:

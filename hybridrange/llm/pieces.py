@@ -107,14 +107,14 @@ class Pieces:
         """Bytes of a character without piece; a private stand-in is the word mark itself."""
         return piece.replace("﷐", MARK).encode("utf-8", "surrogatepass")
 
-    def learn(self, units: list[str]) -> None:
+    def learn(self, units: set[str]) -> None:
         """Solves the units that aren't remembered, all in one pass."""
-        new = [u for u in set(units) if u not in self.memo]
+        new = [u for u in units if u not in self.memo]
         if not new:
             return
         if len(self.memo) + len(new) > MEMO:
             self.memo.clear()
-            new = list(set(units))
+            new = list(units)
         if "\n" in new:
             new.remove("\n")
             self.memo["\n"] = self.spelled("\n")
@@ -140,7 +140,7 @@ class Pieces:
     def plain(self, text: str) -> list[int]:
         """Ids of a text whose spaces are word marks."""
         units = UNIT.findall(text)
-        self.learn(units)
+        self.learn(set(units))
         return list(chain.from_iterable(map(self.memo.__getitem__, units)))
 
     def encode(self, text: str) -> list[int]:
@@ -150,7 +150,7 @@ class Pieces:
     def encode_all(self, texts: list[str]) -> list[list[int]]:
         """Ids of several texts, whose new units are solved together."""
         units = [UNIT.findall(marked(x)) for x in texts]
-        self.learn(list(set(chain.from_iterable(units))))
+        self.learn(set(chain.from_iterable(units)))
         get = self.memo.__getitem__
         return [list(chain.from_iterable(map(get, u))) for u in units]
 

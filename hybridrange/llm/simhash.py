@@ -197,7 +197,8 @@ def near_groups(docs: DataFrame, k: int = 3, radius: int = 3, **how) -> DataFram
     each = C.cut(fingerprints(docs, k, lanes), "prints")
     distinct = C.cut(each.groupBy(*names).agg(F.min("doc_id").alias("rep")), "distinct")
     # a row that repeats a doc_id with another text makes two nodes of one name: they are then one component, as one document
-    found = C.components(near_links(distinct.where("rep is not null"), radius, **how))
+    with C.rows_per_batch(docs.sparkSession, 200):
+        found = C.components(near_links(distinct.where("rep is not null"), radius, **how))
     named = distinct.join(found.withColumnRenamed("node", "rep"), "rep", "left").select(*names, F.coalesce("component", "rep").alias("component_id"))
     return each.join(named, names)
 

@@ -395,7 +395,7 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH) -> DataFrame:
     repeat a doc_id are texts of their own, so equal ones remove each other; an
     empty table gives no rows.  Strings are judged on the input.
     """
-    rows = docs.select(F.monotonically_increasing_id().alias("rid"), "doc_id", C.text_bytes().alias("text"))
+    rows = C.stable(docs).select(F.monotonically_increasing_id().alias("rid"), "doc_id", C.text_bytes().alias("text"))
     starts = repeated_starts(rows.select("rid", "text"), length).groupBy("rid").agg(F.collect_list(F.struct("a", "b")).alias("starts"))
     return C.map_rows(rows.join(starts, "rid", "left"), lambda: removed(length), "doc_id long, n_bytes long, n_removed long, n_spans long, kept binary, spans array<long>")
 
