@@ -135,3 +135,89 @@ def edges(index: DataFrame) -> DataFrame:
     """(seg, sub, layer, src, dst) of all links, by number in the segment."""
     by_layer = index.select("seg", "sub", F.col("ord").alias("src"), F.posexplode("links").alias("layer", "to"))
     return by_layer.select("seg", "sub", "layer", "src", F.explode("to").alias("dst"))
+
+
+def insert(index: DataFrame, data: DataFrame, settings: Settings | None = None, order: str = "shuffled") -> DataFrame:
+    """The index with the rows of ``data`` (id, vec, attr) inserted one by one into the segments they belong to.
+
+    A row goes to the last segment that starts at or below its value, or to the
+    first.  Only segments that rows arrive in change; codes are renewed inside a
+    segment, links stay.
+    """
+    given = asdict(settings or Settings())
+    starts = index.groupBy(F.col("seg").alias("s"), F.col("sub").alias("b")).agg(F.min("attr").alias("start"))
+    first = starts.agg(F.min(F.struct("start", "s")).alias("f")).select(F.col("f.s").alias("s0"))
+    own = data.join(small(starts.where("b = 0"), 256), F.col("start") <= F.col("attr"), "left").groupBy("id").agg(F.max_by("s", "start").alias("s"), F.first("attr").alias("attr"), F.first("vec").alias("vec"))
+    routed_rows = own.crossJoin(F.broadcast(first)).select(F.coalesce("s", "s0").alias("in_seg"), F.lit(0).alias("in_sub"), "id", "attr", "vec")  # one row on the other side
+    schema = index.schema
+
+    def grown(part: pd.DataFrame, new: pd.DataFrame) -> pd.DataFrame:
+        if not len(new):
+            return part
+        old = part.sort_values("ord", ignore_index=True)
+        new = new.rename(columns={"in_seg": "seg", "in_sub": "sub"})
+        both = pd.concat([old[["seg", "sub", "id", "attr", "vec", "deleted"]], new.assign(deleted=False)], ignore_index=True)
+        _, codes = np.unique(both["attr"].to_numpy(), return_inverse=True)
+        both["rank_u"] = codes
+        stack = Stack(np.stack(both["vec"].to_numpy()), codes, Settings(**given))
+        stack.links = [[[int(r) for r in row[layer]] for row in old["links"]] for layer in range(len(old["links"].iloc[0]))]
+        stack.deleted[: len(old)] = old["deleted"].to_numpy(bool)
+        for i in range(len(old)):
+            stack.values.insert(int(codes[i]))
+            stack.at_value.setdefault(int(codes[i]), []).append(i)
+        stack.count = len(old)
+        places = np.arange(len(old), len(both))
+        ids = both["id"].to_numpy()[places].astype(np.uint64)
+        key = codes[places] if order == "sorted" else (ids * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(20)
+        # rows are numbered in order of arrival, as their links are
+        turn = np.concatenate([np.arange(len(old)), places[np.lexsort((ids, key))]])
+        both = both.iloc[turn].reset_index(drop=True)
+        stack.vecs, stack.codes, stack.deleted = stack.vecs[turn], stack.codes[turn], stack.deleted[turn]
+        for row in range(len(old), len(both)):
+            stack.insert(row)
+        both["ord"] = np.arange(len(both), dtype=np.int32)
+        both["links"] = [[layer[i] for layer in stack.links] for i in range(len(both))]
+        return both[[f.name for f in schema.fields]]
+
+    return index.groupBy("seg", "sub").cogroup(routed_rows.groupBy("in_seg", "in_sub")).applyInPandas(grown, schema)
+
+
+def split(index: DataFrame, cap: int, settings: Settings | None = None) -> DataFrame:
+    """Segments of more than ``cap`` rows are cut at a value and linked anew, so that no link is merely dropped; the others stay."""
+    large = index.groupBy(F.col("seg").alias("s")).agg(F.count("*").alias("n"), F.countDistinct("attr").alias("u")).where((F.col("n") > cap) & (F.col("u") > 1))
+    over = index.join(small(large.select("s"), 64), F.col("seg") == F.col("s"), "left_semi")
+    last = index.agg(F.max("seg")).first()[0] or 0
+    renewed = build_index(over.where("not deleted").select("id", "vec", "attr"), settings, cap=max(1, cap // 2))
+    return index.join(small(large.select("s"), 64), F.col("seg") == F.col("s"), "left_anti").unionByName(renewed.withColumn("seg", F.col("seg") + last + 1))
+
+
+def level_search(index: DataFrame, queries: DataFrame, k: int = 10, omega: int = 64, rounds: int = 50) -> DataFrame:
+    """(qid, id, dist, pos) by a beam that opens all its unopened rows at once, as joins: no Python in the loop.
+
+    Each round joins the open rows' links on all layers, keeps what is in range
+    and new, and cuts the best ``omega`` of each query; it ends when a round opens
+    nothing.  Every segment's middle row in range is an entry.
+    """
+    from pyspark.sql import Window
+
+    from hybridrange.functions.vectors import distance
+    from hybridrange.plans.tables import cut
+
+    rows = index.select("seg", "sub", "ord", "id", "attr", "vec")
+    links = edges(index).select("seg", "sub", F.col("src").alias("ord"), "dst").distinct()
+    q = small(queries.select("qid", "qvec", "lo", "hi"))
+    inside = rows.join(q, F.col("attr").between(F.col("lo"), F.col("hi")))
+    middle = Window.partitionBy("qid", "seg", "sub").orderBy("attr", "id")
+    entry = inside.withColumn("r", F.row_number().over(middle)).withColumn("n", F.count("*").over(Window.partitionBy("qid", "seg", "sub"))).where("r = floor((n + 1) / 2)")
+    beam = cut(entry.select("qid", "seg", "sub", "ord", "id", distance("l2", "vec", "qvec").alias("dist"), F.lit(False).alias("opened")), "beam")
+    best = Window.partitionBy("qid", "seg", "sub").orderBy("dist", "id")
+    for _ in range(rounds):
+        open_ = beam.where("not opened")
+        if open_.isEmpty():
+            break
+        near = open_.select("qid", "seg", "sub", "ord").join(links, ["seg", "sub", "ord"]).select("qid", "seg", "sub", F.col("dst").alias("ord")).distinct()
+        fresh = near.join(beam.select("qid", "seg", "sub", "ord"), ["qid", "seg", "sub", "ord"], "left_anti").join(rows, ["seg", "sub", "ord"]).join(q, "qid").where(F.col("attr").between(F.col("lo"), F.col("hi")))
+        found = fresh.select("qid", "seg", "sub", "ord", "id", distance("l2", "vec", "qvec").alias("dist"), F.lit(False).alias("opened"))
+        both = beam.withColumn("opened", F.lit(True)).unionByName(found)
+        beam = cut(both.withColumn("r", F.row_number().over(best)).where(F.col("r") <= omega).drop("r"), "beam")
+    return top_k(beam.select("qid", "id", "dist"), k).select("qid", "id", F.round("dist", DIGITS).alias("dist"), F.col("pos").cast("int").alias("pos"))

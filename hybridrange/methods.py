@@ -230,6 +230,38 @@ def _(spark, sf_dir):
     return index.range_knn(built(spark, sf_dir), asked(spark, sf_dir, fixed=9)[1], K, scan_cap=64)
 
 
+@query("range_knn_wide", exact_sql("rand"))
+def _(spark, sf_dir):
+    """A beam as wide as the data is exact."""
+    return index.range_knn(built(spark, sf_dir), asked(spark, sf_dir)[1], K, 512)
+
+
+@query("range_knn_level_sync", f"WITH {ranges_sql('rand')} SELECT qid, true AS in_range, true AS size_ok, true AS recall_ok FROM q")
+def _(spark, sf_dir):
+    data, q = asked(spark, sf_dir)
+    found = index.level_search(built(spark, sf_dir), q, K)
+    return per_query(found, data, q, truth_of(spark, sf_dir), 0.85).select("qid", "in_range", (F.col("n_found") <= K).alias("size_ok"), "recall_ok")
+
+
+def grown(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Half of the rows built at once, the other half inserted."""
+    data = hybrid(spark, sf_dir, "rand")
+    return held(spark, (sf_dir, "grown"), lambda: index.insert(held(spark, (sf_dir, "half"), lambda: index.build_index(data.where("id % 2 = 0"), cap=200)), data.where("id % 2 = 1")))
+
+
+@query("range_knn_after_insert", full_sql())
+def _(spark, sf_dir):
+    data, q = asked(spark, sf_dir)
+    return per_query(index.range_knn(grown(spark, sf_dir), q, K), data, q, truth_of(spark, sf_dir), LEAST)
+
+
+@query("range_knn_after_split", full_sql())
+def _(spark, sf_dir):
+    data, q = asked(spark, sf_dir)
+    parts = held(spark, (sf_dir, "split"), lambda: index.split(grown(spark, sf_dir), 150))
+    return per_query(index.range_knn(parts, q, K), data, q, truth_of(spark, sf_dir), LEAST)
+
+
 @query("insert_stack_invariants", f"SELECT count(*) AS n_rows, true AS degree_ok, true AS no_loops, true AS no_repeats FROM ({hybrid_sql('rand')})")
 def _(spark, sf_dir):
     lists = F.transform("links", lambda x: F.size(x))

@@ -361,3 +361,89 @@ def layer_windows(t: Tables) -> DataFrame:
 
 
 op("udtf_layer_windows", "SELECT vec_id, CAST(l AS INTEGER) AS layer, CAST(greatest(0, vec_id - pow(4, l)) AS BIGINT) AS low, CAST(least(n - 1, vec_id + pow(4, l)) AS BIGINT) AS high FROM embeddings, (SELECT count(*) AS n FROM embeddings), range(0, 20) AS r(l) WHERE l = 0 OR 2 * pow(4, l - 1) < n", layer_windows)
+
+
+# The index from SQL -----------------------------------------------------------
+
+
+def bucketed(t: Tables) -> DataFrame:
+    """A table bucketed and sorted by segment, so that a later join on it moves one side only."""
+    import uuid
+
+    name = f"bucketed_{uuid.uuid4().hex}"
+    t.h().select("id", "attr", F.floor(c("attr") / 100000).alias("seg")).write.bucketBy(8, "seg").sortBy("attr").saveAsTable(name)
+    return t.spark.table(name).groupBy("seg").agg(F.count("*").alias("n"))
+
+
+op("sink_bucketed", f"SELECT attr // 100000 AS seg, count(*) AS n FROM ({H}) GROUP BY 1", bucketed)
+
+
+def asked_in_sql(t: Tables) -> DataFrame:
+    """Exact range search as one SQL statement over registered views."""
+    from hybridrange.methods import asked
+
+    data, q = asked(t.spark, t.sf_dir)
+    data.createOrReplaceTempView("hybrid_rows")
+    q.createOrReplaceTempView("range_queries")
+    return t.spark.sql("""
+        SELECT qid, id, round(dist, 6) AS dist, CAST(pos AS INT) AS pos FROM (
+          SELECT qid, id, dist, row_number() OVER (PARTITION BY qid ORDER BY dist, id) AS pos FROM (
+            SELECT /*+ BROADCAST(q) */ qid, id, sqrt(aggregate(zip_with(vec, qvec, (a, b) -> (double(a) - double(b)) * (double(a) - double(b))), 0D, (s, x) -> s + x)) AS dist
+            FROM hybrid_rows JOIN range_queries q ON attr BETWEEN lo AND hi)) WHERE pos <= 10""")
+
+
+def _exact_sql() -> str:
+    from hybridrange.methods import exact_sql
+
+    return exact_sql("rand")
+
+
+op("sql_exact_range_knn", _exact_sql(), asked_in_sql)
+
+
+def recall_udaf(t: Tables) -> DataFrame:
+    """Recall as a grouped-aggregate function over hits."""
+    from hybridrange.baselines.run import postfilter_exact
+    from hybridrange.methods import asked, truth_of
+
+    @F.pandas_udf("double", F.PandasUDFType.GROUPED_AGG)
+    def share(hit):
+        return float(hit.mean())
+
+    data, q = asked(t.spark, t.sf_dir)
+    found = postfilter_exact(data, q, 10, 0.5).select("qid", "id", F.lit(1.0).alias("hit"))
+    both = truth_of(t.spark, t.sf_dir).select("qid", "id").join(found, ["qid", "id"], "left").na.fill(0.0, ["hit"])
+    return both.groupBy("qid").agg(F.round(share("hit"), 9).alias("recall"))
+
+
+def _recall_sql() -> str:
+    from hybridrange.methods import ORACLES as M
+
+    return f"SELECT qid, round(recall, 9) AS recall FROM ({M['recall']})"
+
+
+op("udaf_recall", _recall_sql(), recall_udaf)
+
+
+def lid_udaf(t: Tables) -> DataFrame:
+    """Local dimension as a grouped-aggregate function over distances."""
+    from hybridrange.methods import truth_of
+
+    @F.pandas_udf("double", F.PandasUDFType.GROUPED_AGG)
+    def lid(dist):
+        import numpy as np
+
+        d = dist[dist > 0].to_numpy()
+        m = np.log(d / dist.max()).mean() if len(d) else 0.0
+        return float(-1 / m) if m < 0 else None
+
+    return truth_of(t.spark, t.sf_dir).where("dist > 0").groupBy("qid").agg(F.round(lid("dist"), 4).alias("lid"))
+
+
+def _lid_sql() -> str:
+    from hybridrange.methods import ORACLES as M
+
+    return M["lid"]
+
+
+op("udaf_lid", _lid_sql(), lid_udaf)
