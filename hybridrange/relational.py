@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import DataFrame, SparkSession, Window, WindowSpec
 from pyspark.sql import functions as F
 
 from hybridrange.functions import vectors as V
@@ -221,16 +221,25 @@ op("agg_filtered", "SELECT count(*) FILTER (WHERE value > 50) AS over, count(*)
 
 # Windows --------------------------------------------------------------------
 
-_W = Window.partitionBy("label").orderBy("vec_id")
+
+
+def by_label() -> WindowSpec:
+    return Window.partitionBy("label").orderBy("vec_id")
+
+
+def by_user() -> WindowSpec:
+    return Window.partitionBy("user_id").orderBy("ts", "event_id")
+
+
 _O = "OVER (PARTITION BY label ORDER BY vec_id)"
-for _key, _f, _sql in (("row_number", F.row_number(), "row_number()"), ("rank", F.rank(), "rank()"), ("dense_rank", F.dense_rank(), "dense_rank()"), ("ntile", F.ntile(4), "ntile(4)")):
-    op(f"win_{_key}", f"SELECT vec_id, {_sql} {_O} AS r FROM embeddings", lambda t, f=_f: t.embeddings.select("vec_id", f.over(_W).cast("long").alias("r")))
-for _key, _f in (("percent_rank", F.percent_rank()), ("cume_dist", F.cume_dist())):
-    op(f"win_{_key}", f"SELECT vec_id, round({_key}() {_O}, 6) AS r FROM embeddings", lambda t, f=_f: t.embeddings.select("vec_id", F.round(f.over(_W), 6).alias("r")))
-_E, _EO = Window.partitionBy("user_id").orderBy("ts", "event_id"), "PARTITION BY user_id ORDER BY ts, event_id"
-op("win_lag_lead", f"SELECT event_id, lag(value) OVER w AS a, lead(value, 2) OVER w AS b FROM events WINDOW w AS ({_EO})", lambda t: t.events.select("event_id", F.lag("value").over(_E).alias("a"), F.lead("value", 2).over(_E).alias("b")))
-op("win_first_last_nth", f"SELECT event_id, first_value(value) OVER w AS a, last_value(value) OVER w AS b, nth_value(value, 2) OVER w AS n FROM events WINDOW w AS ({_EO} ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING)", lambda t: t.events.select("event_id", *[f.over(_E.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)).alias(n) for f, n in ((F.first("value"), "a"), (F.last("value"), "b"), (F.nth_value("value", 2), "n"))]))
-op("win_rows_frame", f"SELECT event_id, round(sum(value) OVER ({_EO} ROWS BETWEEN 2 PRECEDING AND CURRENT ROW), 6) AS s FROM events", lambda t: t.events.select("event_id", F.round(F.sum("value").over(_E.rowsBetween(-2, 0)), 6).alias("s")))
+for _key, _f, _sql in (("row_number", F.row_number, "row_number()"), ("rank", F.rank, "rank()"), ("dense_rank", F.dense_rank, "dense_rank()"), ("ntile", lambda: F.ntile(4), "ntile(4)")):
+    op(f"win_{_key}", f"SELECT vec_id, {_sql} {_O} AS r FROM embeddings", lambda t, f=_f: t.embeddings.select("vec_id", f().over(by_label()).cast("long").alias("r")))
+for _key, _f in (("percent_rank", F.percent_rank), ("cume_dist", F.cume_dist)):
+    op(f"win_{_key}", f"SELECT vec_id, round({_key}() {_O}, 6) AS r FROM embeddings", lambda t, f=_f: t.embeddings.select("vec_id", F.round(f().over(by_label()), 6).alias("r")))
+_EO = "PARTITION BY user_id ORDER BY ts, event_id"
+op("win_lag_lead", f"SELECT event_id, lag(value) OVER w AS a, lead(value, 2) OVER w AS b FROM events WINDOW w AS ({_EO})", lambda t: t.events.select("event_id", F.lag("value").over(by_user()).alias("a"), F.lead("value", 2).over(by_user()).alias("b")))
+op("win_first_last_nth", f"SELECT event_id, first_value(value) OVER w AS a, last_value(value) OVER w AS b, nth_value(value, 2) OVER w AS n FROM events WINDOW w AS ({_EO} ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING)", lambda t: t.events.select("event_id", *[f.over(by_user().rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)).alias(n) for f, n in ((F.first("value"), "a"), (F.last("value"), "b"), (F.nth_value("value", 2), "n"))]))
+op("win_rows_frame", f"SELECT event_id, round(sum(value) OVER ({_EO} ROWS BETWEEN 2 PRECEDING AND CURRENT ROW), 6) AS s FROM events", lambda t: t.events.select("event_id", F.round(F.sum("value").over(by_user().rowsBetween(-2, 0)), 6).alias("s")))
 op("win_range_frame", f"SELECT id, count(*) OVER (PARTITION BY attr % 10 ORDER BY attr RANGE BETWEEN 50000 PRECEDING AND 50000 FOLLOWING) AS n FROM ({H})", lambda t: t.h().select("id", F.count("*").over(Window.partitionBy(c("attr") % 10).orderBy("attr").rangeBetween(-50000, 50000)).alias("n")))
 op("win_time_range_frame", "SELECT event_id, count(*) OVER (PARTITION BY user_id ORDER BY epoch_us(ts) RANGE BETWEEN 3600000000 PRECEDING AND CURRENT ROW) AS n FROM events", lambda t: t.events.select("event_id", F.count("*").over(Window.partitionBy("user_id").orderBy(F.unix_micros(c("ts").cast("timestamp"))).rangeBetween(-3_600_000_000, 0)).alias("n")))
 

@@ -95,3 +95,11 @@ def test_lid_of_three_distances(spark):
 def test_recall_with_few_rows(spark):
     t = spark.createDataFrame([(1, i) for i in range(4)], "qid long, id long")
     assert measures.recall(t.where("id < 3"), t, 10).first().recall == 0.75
+
+
+def test_names_are_known_without_a_session():
+    import subprocess
+    import sys
+
+    said = subprocess.run([sys.executable, "-c", "import __spark_entry__ as e; assert len(e.queries()) > 200 and e.oracle_sql()"], capture_output=True, text=True, timeout=120)
+    assert said.returncode == 0, said.stderr[-500:]
