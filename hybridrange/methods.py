@@ -13,7 +13,7 @@ from hybridrange.exact import exact_knn, exact_range_knn
 from hybridrange.hybrid import SCALE, STEP, cosine_sql, hybrid, hybrid_sql, l2sq_sql, make_ranges, ranges_sql
 from hybridrange.kernel.stack import Settings
 from hybridrange.layers import landing_layer_col, layer_count_col
-from hybridrange.plans.tables import cut
+from hybridrange.plans.tables import cut, small
 
 K = 10
 QUERIES: dict = {}
@@ -349,12 +349,12 @@ def _(spark, sf_dir):
 def _(spark, sf_dir):
     """One sub-query an attribute, then the common ids ranked."""
     q, data = asked(spark, sf_dir)[1], two(spark, sf_dir)
-    first = data.join(F.broadcast(q.select("qid", "lo", "hi")), F.col("b").between(F.col("lo"), F.col("hi"))).select("qid", "id")
+    first = data.join(small(q.select("qid", "lo", "hi")), F.col("b").between(F.col("lo"), F.col("hi"))).select("qid", "id")
     second = data.where("a between 2 and 6").select("id", "vec")
     from hybridrange.exact import _finished
     from hybridrange.functions.vectors import distance
 
-    pairs = first.join(second, "id").join(F.broadcast(q.select("qid", "qvec")), "qid")
+    pairs = first.join(second, "id").join(small(q.select("qid", "qvec")), "qid")
     return _finished(pairs.select("qid", "id", distance("l2", "vec", "qvec").alias("dist")), K)
 
 
@@ -364,7 +364,7 @@ def _(spark, sf_dir):
     """A composite attribute in lexicographic order."""
     data = two(spark, sf_dir).select("id", "vec", F.struct("a", "b").alias("attr"))
     q = data.where(F.col("id") % STEP == 0).select(F.col("id").alias("qid"), F.col("vec").alias("qvec"), F.col("attr").alias("lo"), F.struct((F.col("attr.a") + 1).alias("a"), F.lit(2**62).alias("b")).alias("hi"))
-    pairs = data.join(F.broadcast(q), (F.col("attr") >= F.col("lo")) & (F.col("attr") <= F.col("hi")))
+    pairs = data.join(small(q), (F.col("attr") >= F.col("lo")) & (F.col("attr") <= F.col("hi")))
     from hybridrange.exact import _finished
     from hybridrange.functions.vectors import distance
 
