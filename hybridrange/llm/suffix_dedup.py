@@ -66,14 +66,22 @@ def sliding(x: np.ndarray, w: int, op=np.minimum) -> np.ndarray:
     return op(behind[:n], ahead[w - 1 : w - 1 + n])
 
 
-def anchors(text: bytes, length: int = LENGTH) -> np.ndarray:
-    """Places that hold the least k-gram hash of some string of ``length`` bytes."""
+def anchors(text: bytes, length: int = LENGTH) -> list[tuple[int, int, int]]:
+    """(p, a, b): places p of the least k-gram hash of some string of ``length`` bytes, and the starts a..b of the strings judged there.
+
+    Each string is judged at its leftmost least place.  Where hashes tie, it may
+    be judged at others too.
+    """
     if len(text) < length:
-        return np.empty(0, np.int64)
+        return []
     h, w = gram_hashes(np.frombuffer(text, np.uint8)), length - GRAM + 1
     least = sliding(h, w)
     pad = np.zeros(w - 1, np.uint64)
-    return np.flatnonzero(sliding(np.concatenate([pad, least, pad]), w, np.maximum) == h)
+    found = np.flatnonzero(sliding(np.concatenate([pad, least, pad]), w, np.maximum) == h)
+    starts = np.concatenate([[0], np.flatnonzero(least[1:] != least[:-1]) + 1])
+    if len(starts) == len(found):  # one place for each run of equal minima, in the same order
+        return list(zip(found.tolist(), starts.tolist(), [*(starts[1:] - 1).tolist(), len(least) - 1], strict=True))
+    return [(p, max(0, p - w + 1), min(p, len(least) - 1)) for p in found.tolist()]
 
 
 def successors(b: np.ndarray) -> np.ndarray:
@@ -84,25 +92,29 @@ def successors(b: np.ndarray) -> np.ndarray:
     return np.append(np.append(step, -1)[at] > 0, False)
 
 
-def suffix_array(raw: bytes, depth: int = LENGTH) -> np.ndarray:
-    """All suffixes in order of their first ``depth`` bytes (at least)."""
+def suffix_array(raw: bytes, depth: int = LENGTH, wanted: np.ndarray | None = None) -> np.ndarray:
+    """The suffixes (those ``wanted``, if given, and some more) in order of their first ``depth`` bytes at least."""
     b = np.frombuffer(raw, np.uint8)
     n = len(b)
     if not n:
         return np.empty(0, np.int64)
     small = successors(b)
-    direct = np.flatnonzero(small)
+    keep = np.ones(n, bool) if wanted is None else wanted.copy()
+    while (more := np.flatnonzero(keep[:-1] & ~small[:-1] & ~keep[1:])).size:
+        keep[more + 1] = True  # a larger suffix is induced from its successor
+    direct = np.flatnonzero(small & keep)
     keys = [raw[i : i + depth] for i in direct.tolist()]
     direct = direct[sorted(range(len(keys)), key=keys.__getitem__)]
     ends = np.cumsum(np.bincount(b[direct], minlength=256))
     queue: list[list[np.ndarray]] = [[] for _ in range(256)]
-    queue[b[n - 1]].append(np.array([n - 1]))
+    if keep[n - 1]:
+        queue[b[n - 1]].append(np.array([n - 1]))
     out = []
 
     def induced(part: np.ndarray, c: int) -> np.ndarray:
         """Deals the larger suffixes before these to their buckets; gives those of this bucket back."""
         before = part[part > 0] - 1
-        before = before[~small[before]]
+        before = before[keep[before] & ~small[before]]
         first = b[before]
         order = np.argsort(first, kind="stable")
         before, first = before[order], first[order]
@@ -120,7 +132,7 @@ def suffix_array(raw: bytes, depth: int = LENGTH) -> np.ndarray:
         if len(part):
             out.append(part)
             induced(part, c)
-    return np.concatenate(out)
+    return np.concatenate(out) if out else direct
 
 
 def common_prefixes(raw: bytes, order: np.ndarray, cap: int = LENGTH) -> np.ndarray:
@@ -143,8 +155,9 @@ def repeats(parts: list[tuple[bytes, int, int, bool]], length: int = LENGTH) ->
     judged = np.minimum(np.array([x[1] for x in parts]), np.maximum(0, sizes - length + 1))
     of, base = np.repeat(np.arange(len(parts)), sizes), np.cumsum(sizes) - sizes
     inside = np.arange(len(raw)) - base[of]
-    order = suffix_array(raw, length)
-    order = order[inside[order] < judged[of[order]]]
+    wanted = inside < judged[of]
+    order = suffix_array(raw, length, wanted)
+    order = order[wanted[order]]
     hit = np.zeros(len(raw), bool)
     if len(order):
         places = order.tolist()
@@ -175,42 +188,44 @@ def signed(x: int) -> int:
 
 
 def marked(length: int):
-    """(rid, p, h1, h2, left, right, kl, kr) of each anchor: its context's hashes, and the keys of both sides."""
+    """(rid, p, h1, h2, left, right, kl, kr) of each anchor: its context's hashes, and the keys of both sides.
+
+    A context holds the strings judged at its anchor and nothing else.
+    """
     half = length // 2 - GRAM // 2
 
     def each(batch: pa.RecordBatch) -> dict | None:
         out: dict[str, list] = {x: [] for x in ("rid", "p", "h1", "h2", "left", "right", "kl", "kr")}
         xxh = xxhash.xxh64_intdigest
         for rid, text in zip(batch["rid"].to_pylist(), batch["text"].to_pylist(), strict=True):
-            for p in anchors(text, length).tolist():
-                low, high = max(0, p - length + GRAM), min(len(text), p + length)
-                context = text[low:high]
+            for p, a, b in anchors(text, length):
+                context = text[a : b + length]
                 out["rid"].append(rid)
                 out["p"].append(p)
-                out["h1"].append(signed(xxh(context, p - low)))
-                out["h2"].append(signed(xxh(context, 2**32 + p - low)))
-                out["left"].append(p - low)
-                out["right"].append(high - p)
+                out["h1"].append(signed(xxh(context, p - a)))
+                out["h2"].append(signed(xxh(context, 2**32 + p - a)))
+                out["left"].append(p - a)
+                out["right"].append(b + length - p)
                 # a string that reaches at least ``half`` to the left covers the first part, any other the second
-                out["kl"].append(signed(xxh(text[p - half : p + GRAM], 1)) if p >= half else None)
-                out["kr"].append(signed(xxh(text[p : p + length - half + 1], 2)) if p + length - half < len(text) else None)
+                out["kl"].append(signed(xxh(text[p - half : p + GRAM], 1)) if a <= p - half else None)
+                out["kr"].append(signed(xxh(text[p : p + length - half + 1], 2)) if b > p - half else None)
         return out if out["rid"] else None
 
     return each
 
 
 def cut_out(length: int):
-    """The bytes of each context that strings of its side can cover, from texts with the anchors asked for."""
+    """The bytes of each context that strings of its side cover, from texts with the anchors asked for."""
     half = length // 2 - GRAM // 2
 
     def each(batch: pa.RecordBatch) -> dict | None:
         out: dict[str, list] = {x: [] for x in ("key", "salt", "hot", "h1", "h2", "many", "at", "back", "judged", "bytes", "side")}
         for rid, text, asked in zip(batch["rid"].to_pylist(), batch["text"].to_pylist(), batch["asked"].to_pylist(), strict=True):
-            for a in asked:
-                p, left = a["p"], a["side"] == 0
-                low = max(0, p - length + GRAM) if left else max(0, p - half + 1)
-                high = min(len(text), p - half + length if left else p + length)
-                row = (a["key"], a["salt"], a["hot"], a["h1"], a["h2"], a["many"], place(rid, low), p - low, (p - half if left else p) - low + 1, text[low:high], a["side"])
+            for x in asked:
+                p = x["p"]
+                a, b = p - x["left"], p + x["right"] - length
+                low, last = (a, min(b, p - half)) if x["side"] == 0 else (max(a, p - half + 1), b)
+                row = (x["key"], x["salt"], x["hot"], x["h1"], x["h2"], x["many"], place(rid, low), p - low, last - low + 1, text[low : last + length], x["side"])
                 for k, v in zip(out, row, strict=True):
                     out[k].append(v)
         return out if out["key"] else None
@@ -235,36 +250,27 @@ def shared_start(x: bytes, y: bytes) -> int:
     return low
 
 
-def reach(parts: list[bytes]) -> tuple[list[int], list[int]]:
-    """The longest beginning that each part shares with another, and which: one of its neighbours in order has it."""
-    order, out, other = sorted(range(len(parts)), key=parts.__getitem__), [0] * len(parts), [0] * len(parts)
+def reach(parts: list[bytes]) -> list[int]:
+    """The longest beginning that each part shares with another: one of its neighbours in order has it."""
+    order, out = sorted(range(len(parts)), key=parts.__getitem__), [0] * len(parts)
     for i, j in zip(order, order[1:], strict=False):
         n = shared_start(parts[i], parts[j])
-        for x, y in ((i, j), (j, i)):
-            if n >= out[x]:
-                out[x], other[x] = n, y
-    return out, other
-
+        out[i], out[j] = max(out[i], n), max(out[j], n)
+    return out
 
-def trimmed(rows: list[tuple], length: int) -> tuple[bool, dict[bytes, list[tuple]]]:
-    """Contexts of one key cut to what others share, by their bytes: (row, start of the cut); too short ones are dropped.
 
-    True comes first if each is shared as a whole with one other context, so that
-    nothing is left to decide.
-    """
+def trimmed(rows: list[tuple], length: int) -> dict[bytes, list[tuple]]:
+    """Contexts of one key cut to what others share, by their bytes: (row, start of the cut); too short ones are dropped."""
     half = length // 2 - GRAM // 2
     left = rows[0][8]  # the side
     cores = [(back - half, back + GRAM) if left == 0 else (back, back + length - half + 1) for back in (r[6] for r in rows)]
-    lefts = [r[7][:a][::-1] for r, (a, _) in zip(rows, cores, strict=True)]
-    rights = [r[7][b:] for r, (_, b) in zip(rows, cores, strict=True)]
-    (before, by), (after, to) = reach(lefts), reach(rights)
+    before = reach([r[7][:a][::-1] for r, (a, _) in zip(rows, cores, strict=True)])
+    after = reach([r[7][b:] for r, (_, b) in zip(rows, cores, strict=True)])
     out: dict[bytes, list[tuple]] = {}
-    plain = True
-    for i, (r, (a, b), x, y) in enumerate(zip(rows, cores, before, after, strict=True)):
+    for r, (a, b), x, y in zip(rows, cores, before, after, strict=True):
         if b + y - (a - x) >= length:
             out.setdefault(r[7][a - x : b + y], []).append((r, a - x))
-            plain = plain and (rights[by[i]][:y] == rights[i][:y] or lefts[to[i]][:x] == lefts[i][:x])
-    return plain, out
+    return out
 
 
 def counted(parts: list[tuple[bytes, int, int, bool]], length: int, slices: int = 16) -> list[np.ndarray]:
@@ -298,15 +304,11 @@ def sorted_out(length: int):
     state = {"bytes": 0, "key": None}
     names = ("h1", "h2", "first", "last", "w1", "w2", "at", "sure")
 
-    def close_group() -> list[tuple]:
-        """Puts a group's strings to those to be sorted; gives what needs no sorting."""
-        plain, found = trimmed(group, length) if len(group) > 1 else (False, {})
+    def close_group() -> None:
+        found = trimmed(group, length) if len(group) > 1 else {}
         group.clear()
-        if plain:
-            return [(r[1], r[2], cut - r[6], cut + len(raw) - length - r[6], None, None, None, None) for raw, of in found.items() for r, cut in of]
         held.extend(found.items())
         state["bytes"] += sum(map(len, found))
-        return []
 
     def settle() -> list[tuple]:
         out = []
@@ -324,7 +326,7 @@ def sorted_out(length: int):
     def each(batch: pa.RecordBatch | None) -> dict | None:
         out = []
         if batch is None:
-            out += close_group()
+            close_group()
             out += settle()
         else:
             hot = batch["hot"].to_pylist()
@@ -336,7 +338,7 @@ def sorted_out(length: int):
                         out.append((h1, h2, i - back, i - back, w1, w2, signed((at + i) % 2**64), many))
                     continue
                 if row[0] != state["key"]:
-                    out += close_group()
+                    close_group()
                     state["key"] = row[0]
                     if state["bytes"] > BATCH:
                         out += settle()
@@ -372,10 +374,10 @@ def repeated_starts(rows: DataFrame, length: int = LENGTH) -> DataFrame:
     context = ["h1", "h2"]
     one = every.groupBy(*context).agg(F.count("*").alias("n"), F.min(F.struct("rid", "p")).alias("rep"), F.first("left").alias("left"), F.first("right").alias("right"), F.first("kl").alias("kl"), F.first("kr").alias("kr"))
     one = C.cut(one, "contexts")
-    sides = one.select(*context, "rep", (F.col("n") > 1).alias("many"), F.posexplode(F.array("kl", "kr")).alias("side", "key")).where("key is not null")
+    sides = one.select(*context, "rep", "left", "right", (F.col("n") > 1).alias("many"), F.posexplode(F.array("kl", "kr")).alias("side", "key")).where("key is not null")
     shared = sides.groupBy("key").agg(F.count("*").alias("k"), F.min("many").alias("settled")).where("k > 1 and not settled")
-    asked = sides.join(shared, "key").select("key", (F.col("k") > GROUP).alias("hot"), F.when(F.col("k") > GROUP, F.pmod(F.xxhash64("h1"), F.ceil(F.col("k") / 1024))).otherwise(0).cast("int").alias("salt"), *context, "many", "side", "rep")
-    by_text = asked.groupBy(F.col("rep.rid").alias("rid")).agg(F.collect_list(F.struct("key", "salt", "hot", *context, "many", "side", F.col("rep.p").alias("p"))).alias("asked"))
+    asked = sides.join(shared, "key").select("key", (F.col("k") > GROUP).alias("hot"), F.when(F.col("k") > GROUP, F.pmod(F.xxhash64("h1"), F.ceil(F.col("k") / 1024))).otherwise(0).cast("int").alias("salt"), *context, "many", "side", "rep", "left", "right")
+    by_text = asked.groupBy(F.col("rep.rid").alias("rid")).agg(F.collect_list(F.struct("key", "salt", "hot", *context, "many", "side", "left", "right", F.col("rep.p").alias("p"))).alias("asked"))
     bits = C.map_rows(rows.join(by_text, "rid"), lambda: cut_out(length), "key long, salt int, hot boolean, h1 long, h2 long, many boolean, at long, back int, judged int, bytes binary, side int")
     groups = bits.repartition(C.width(spark), "key", "salt").sortWithinPartitions("hot", "key")
     found = C.cut(C.map_rows(groups, lambda: sorted_out(length), FOUND, flush=True), "found")
