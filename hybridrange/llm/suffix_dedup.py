@@ -28,7 +28,7 @@ GRAM = 32
 #: Contexts of one key that one task takes; beyond, every string is counted.
 GROUP = 150_000
 #: Bytes that are sorted at once; a group with more distinct bytes is counted in the task.
-BATCH, MOST = 150_000, 500_000
+BATCH, MOST = 600_000, 2_000_000
 _BASE, _INVERSE = 0x9E3779B97F4A7C15, pow(0x9E3779B97F4A7C15, -1, 2**64)
 _POWERS: dict[str, np.ndarray] = {}
 
