@@ -21,7 +21,7 @@ def drop_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of texts whose five-word shingles are about 0.8 alike or more the smallest doc_id stays."""
+    """Of texts whose five-word shingles have a Jaccard similarity of 0.8 or more the smallest doc_id stays."""
     return simhash.dedup(docs)
 
 

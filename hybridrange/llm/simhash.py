@@ -7,6 +7,9 @@ bounds the Hamming distance from below, so tile pairs that differ beyond the
 radius never meet.  A pair of tiles is compared in full with exclusive-or and
 bit counts, and yields a spanning forest of its links rather than all pairs, so
 a clique of copies stays linear in size and no link between texts is lost.
+
+The pipeline's stage takes such links, at a wide radius, for candidates only:
+the Jaccard similarity of the shingle sets decides.
 """
 
 from __future__ import annotations
@@ -208,7 +211,7 @@ def radius_for(similarity: float, bits: int) -> int:
     return round(bits * acos(2 * similarity / (1 + similarity)) / pi)
 
 
-#: The near-dedup of the pipeline: five-word shingles, four lanes, and one standard deviation of room at similarity 0.8.
+#: The near-dedup of the pipeline: five-word shingles and four lanes.
 LANES = 4
 WIDE = {"k": 5, "lanes": LANES, "segments": 1, "near": 20, "bin_width": 20, "salts": 12}
 
@@ -219,9 +222,130 @@ def wide_radius(similarity: float = 0.8, room: float = 1.0) -> int:
     return radius_for(similarity, bits) + round(room * sqrt(bits * p * (1 - p)))
 
 
+#: Deviations of room under which texts become candidates; each link between candidates is then verified.
+ROOM = 4.0
+#: Members of a family that are compared with each other at once.
+BLOCK = 256
+#: Shingles counted at once.
+COLUMNS = 8192
+
+
+def sets(docs: DataFrame, k: int) -> DataFrame:
+    """(doc_id, content, shingles, f0, ...): the distinct shingle hashes in order, a name for them, and their fingerprint."""
+
+    def make():
+        def each(batch: pa.RecordBatch) -> dict:
+            found = [np.unique(shingle_hashes(x, k)) for x in batch["text"].to_pylist()]
+            prints = [fingerprint(x, LANES) for x in found]
+            blobs = [x.tobytes() for x in found]
+            return {"doc_id": batch["doc_id"], "content": [xxhash.xxh128_digest(x) for x in blobs], "shingles": blobs} | {f"f{i}": [x[i] for x in prints] for i in range(LANES)}
+
+        return each
+
+    return C.map_rows(docs.select("doc_id", C.text_bytes().alias("text")), make, "doc_id long, content binary, shingles binary, " + ", ".join(f"f{i} long" for i in range(LANES)))
+
+
+def shared_counts(x: list[np.ndarray], y: list[np.ndarray]) -> np.ndarray:
+    """Numbers of common elements of every set of x with every set of y."""
+    one, two = np.concatenate(x), np.concatenate(y)
+    both = np.intersect1d(one, two)
+    place = []
+    for flat, parts in ((one, x), (two, y)):
+        at = np.searchsorted(both, flat)
+        row = np.repeat(np.arange(len(parts)), [len(p) for p in parts])
+        hit = both[np.minimum(at, len(both) - 1)] == flat if len(both) else np.zeros(len(flat), bool)
+        order = np.argsort(at[hit], kind="stable")
+        place.append((row[hit][order], at[hit][order]))
+    out = np.zeros((len(x), len(y)), np.int64)
+    for low in range(0, len(both), COLUMNS):
+        wide = min(COLUMNS, len(both) - low)
+        tables = []
+        for (row, at), parts in zip(place, (x, y), strict=True):
+            table = np.zeros((len(parts), wide), np.float32)
+            s, e = np.searchsorted(at, [low, low + wide])
+            table[row[s:e], at[s:e] - low] = 1
+            tables.append(table)
+        out += (tables[0] @ tables[1].T).astype(np.int64)
+    return out
+
+
+def alike(similarity: float):
+    """Compares the two blocks of each (family, i, j) of a sorted partition in full; gives a spanning forest of the links."""
+    held: dict = {"key": None, "rows": []}
+
+    def links() -> list[np.ndarray]:
+        rows, held["rows"] = held["rows"], []
+        if len(rows) < 2:
+            return []
+        _, i, j = held["key"]
+        left = [r for r in rows if r[0] == i]
+        right = left if i == j else [r for r in rows if r[0] == j]
+        if not left or not right:
+            return []
+        x, y = ([np.frombuffer(r[2], np.uint64) for r in side] for side in (left, right))
+        shared = shared_counts(x, y)
+        whole = np.array([len(v) for v in x])[:, None] + np.array([len(v) for v in y])[None, :] - shared
+        a, b = np.nonzero((shared / np.maximum(whole, 1) >= similarity) | (whole == 0))
+        ids = [np.array([r[1] for r in side], np.int64) for side in (left, right)]
+        a, b = ids[0][a], ids[1][b]
+        a, b = a[a != b], b[a != b]
+        return [np.stack(C.forest(a, b))] if len(a) else []
+
+    def each(batch: pa.RecordBatch | None) -> dict | None:
+        out: list[np.ndarray] = []
+        if batch is None:
+            out += links()
+        else:
+            for *key, block, rep, blob in zip(*(batch[c].to_pylist() for c in ("family", "i", "j", "block", "rep", "shingles")), strict=True):
+                if key != held["key"]:
+                    out += links()
+                    held["key"] = key
+                held["rows"].append((block, rep, blob))
+        if not out:
+            return None
+        both = np.concatenate(out, 1)
+        return {"a": both[0], "b": both[1]}
+
+    return each
+
+
+def verified(docs: DataFrame, families: DataFrame, similarity: float, k: int, block: int) -> DataFrame:
+    """Spanning links (a, b) of all pairs within the families ``families(node, component)`` whose shingle sets are ``similarity`` alike.
+
+    Members of a family are dealt to blocks, and every pair of blocks is a unit
+    of work of its own, so that a large family is shared out.
+    """
+    spark = docs.sparkSession
+    sizes = families.groupBy("component").agg(F.ceil(F.count("*") / block).cast("int").alias("n"))
+    members = families.join(sizes, "component").select(F.col("node").alias("doc_id"), F.col("component").alias("family"), "n", F.pmod(F.xxhash64("node"), F.col("n")).cast("int").alias("block"))
+    texts = docs.select("doc_id", "text").join(members.select("doc_id"), "doc_id", "left_semi")
+    held = C.cut(sets(texts, k).select("doc_id", "content", "shingles").dropDuplicates(["doc_id", "content"]).drop("content"), "sets")
+    dealt = held.join(members, "doc_id").withColumn("o", F.explode(F.sequence(F.lit(0), F.col("n") - 1)))
+    units = dealt.select("family", F.least("block", "o").alias("i"), F.greatest("block", "o").alias("j"), "block", F.col("doc_id").alias("rep"), "shingles")
+    ranged = units.repartition(C.width(spark), "family", "i", "j").sortWithinPartitions("family", "i", "j")
+    return C.map_rows(ranged, lambda: alike(similarity), "a long, b long", flush=True)
+
+
+def alike_groups(docs: DataFrame, similarity: float = 0.8, block: int | None = None) -> DataFrame:
+    """(doc_id, component_id) of every row: the smallest doc_id reachable over pairs whose shingle sets have this Jaccard similarity or more.
+
+    The radius with its room only finds families of candidates.  All pairs of a
+    family are then compared on their shingle sets, and only links that hold
+    make groups.  Texts with equal sets are one node.
+    """
+    each = C.cut(sets(docs, WIDE["k"]).drop("shingles"), "prints")
+    distinct = C.cut(each.groupBy("content", *(f"f{i}" for i in range(LANES))).agg(F.min("doc_id").alias("rep")), "distinct")
+    how = {n: x for n, x in WIDE.items() if n != "k"}
+    with C.rows_per_batch(docs.sparkSession, 200):
+        families = C.cut(C.components(near_links(distinct.where("rep is not null"), wide_radius(similarity, ROOM), **how)), "families")
+        found = C.components(verified(docs, families, similarity, WIDE["k"], block or BLOCK))
+    named = distinct.join(found.withColumnRenamed("node", "rep"), "rep", "left").select("content", F.coalesce("component", "rep").alias("component_id"))
+    return each.join(named, "content").select("doc_id", "component_id")
+
+
 def dedup(docs: DataFrame, similarity: float = 0.8) -> DataFrame:
-    """Keeps the row with the smallest doc_id of each group of near copies."""
-    groups = near_groups(docs, radius=wide_radius(similarity), **WIDE).where(F.col("doc_id") != F.col("component_id")).select(F.col("doc_id").alias("_gone"))
+    """Keeps the row with the smallest doc_id of each group of near copies, whose links are verified."""
+    groups = alike_groups(docs, similarity).where(F.col("doc_id") != F.col("component_id")).select(F.col("doc_id").alias("_gone"))
     return docs.join(groups, F.col("doc_id") == F.col("_gone"), "left_anti")
 
 
