@@ -34,7 +34,7 @@ def features(word: bytes) -> set[bytes]:
     """The word itself, its beginnings of 3 to 8 characters and the runs of 5 within its bounds."""
     text = word.decode("utf-8", "replace")
     found = {("=" + text).encode()} | {("^" + text[:n]).encode() for n in range(3, 9) if n < len(text)}
-    edged = f"<{text[:64]}>"
+    edged = f"<{text}>"
     return found | {edged[i : i + 5].encode() for i in range(len(edged) - 4)}
 
 
