@@ -67,14 +67,45 @@ def map_rows(df: DataFrame, make: Callable[[], Callable[[pa.RecordBatch], Iterat
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share, from the session; a temporary one where none is set."""
+    """The folder that driver and executors share, from the session.
+
+    Only a local master may do without: driver and executors are then one
+    process, and a temporary folder is shared by nature.
+    """
     place = spark.conf.get("spark.checkpoint.dir", None)
     if not place:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("spark.checkpoint.dir has to name a folder that driver and executors share")
         place = tempfile.mkdtemp(prefix="shared-")
         spark.conf.set("spark.checkpoint.dir", place)
     return place.rstrip("/")
 
 
+def free(df: DataFrame, name: str) -> str:
+    """A column name like ``name`` that ``df`` does not have."""
+    taken = {x.lower() for x in df.columns}
+    while name.lower() in taken:
+        name += "_"
+    return name
+
+
+#: A key with more than this part of all rows is joined by a broadcast: there are at most so many.
+HOT_KEYS = 10_000
+
+
+def join_on_key(rows: DataFrame, keyed: DataFrame, on: list[str], times: str, total: int) -> DataFrame:
+    """``rows`` joined with ``keyed``, which says under ``times`` how many of the ``total`` rows its key has.
+
+    Rows of common keys would land in one task; there can be only HOT_KEYS keys
+    with more than a HOT_KEYS-th of the rows, so these are sent to the rows.
+    """
+    common = F.col(times) * HOT_KEYS > F.lit(total)
+    hot, rest = keyed.where(common).drop(times), keyed.where(~common).drop(times)
+    if total <= HOT_KEYS:
+        return rows.join(keyed.drop(times), on)
+    return rows.join(F.broadcast(hot), on).unionByName(rows.join(rest, on))
+
+
 def cut(df: DataFrame, name: str = "cut") -> DataFrame:
     """Writes a table in the shared folder and reads it back, which ends its lineage."""
     spark = df.sparkSession

@@ -98,16 +98,18 @@ def members(docs: DataFrame) -> DataFrame:
     table gives no rows; other columns are ignored.
     """
     docs = C.stable(docs)
-    each = C.map_rows(numbered(docs), digests, "doc_id long, rid long, text_sha256 binary")
-    found = each.join(group_texts(docs), "text_sha256")
+    each = C.cut(C.map_rows(numbered(docs), digests, "doc_id long, rid long, text_sha256 binary"), "digests")
+    groups = C.cut(group_texts(docs), "groups").withColumn("times", F.col("group_size"))
+    found = C.join_on_key(each, groups, ["text_sha256"], "times", each.count())
     return found.select("doc_id", "rid", "keep_id", "group_size", (F.col("rid") == F.col("keep_rid")).alias("kept"), F.lower(F.hex("text_sha256")).alias("text_sha256"))
 
 
 def dedup(docs: DataFrame) -> DataFrame:
     """The rows that stay, with their columns as they are."""
     docs = C.stable(docs)
-    kept = members(docs).where("kept").select(F.col("rid").alias("_rid"))
-    return docs.withColumn("_rid", F.monotonically_increasing_id()).join(kept, "_rid", "left_semi").select(*docs.columns)
+    rid = C.free(docs, "_rid")
+    kept = group_texts(docs).select(F.col("keep_rid").alias(rid))  # one row a group, so nothing is hot
+    return docs.withColumn(rid, F.monotonically_increasing_id()).join(kept, rid, "left_semi").select(*docs.columns)
 
 
 def op9_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
