@@ -84,15 +84,20 @@ class Model:
         return 1 / (1 + exp(-min(30.0, max(-30.0, self.bias + z))))
 
     def sentence(self, words: list[bytes]) -> float:
-        return self.chance(sum(self.word(w) for w in set(words)))
+        return self.chance(sum(self.word(w) for w in {w.strip(STRIP) for w in words}))
 
     def score(self, text: bytes) -> float:
         stay, plain, memo, word = log1p(-self.leak), log1p(-self.chance(0.0)), self.memo, self.word
         for part in ENDS.split(text.lower()):
-            z = 0.0
+            told = []
             for w in set(part.split()):
                 x = memo.get(w)
-                z += word(w) if x is None else x
+                if x is None:
+                    x = word(w)
+                if x:
+                    told.append((w, x))
+            # as in training, a word counts once however it is punctuated
+            z = sum({w.strip(STRIP): x for w, x in told}.values()) if len(told) > 1 else told[0][1] if told else 0.0
             stay += log1p(-self.chance(z)) if z else plain
         return min(1.0, max(0.0, 1 - exp(stay)))
 
@@ -163,16 +168,29 @@ def train(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> Model:
     return fit([bytes(r["text"]) for r in rows], [int(r["toxic"] == 1) for r in rows])
 
 
-def scored(docs: DataFrame, model: Model) -> DataFrame:
-    """(doc_id, score) of every row; null and empty texts get the leak, long texts are read whole."""
+def scored(docs: DataFrame, model: Model, least: float = 0.5) -> DataFrame:
+    """(doc_id, score, n_offending, worst_start, worst_end) of every row.
+
+    Null and empty texts get the leak; long texts are read whole; equal texts
+    score alike, so ties and repeated rows get a row each; an empty table gives
+    none; other columns are ignored.  In texts of ``least`` or more the sentences
+    that reach ``least`` are counted and the worst is located by byte offsets.
+    """
 
     def make():
         def each(batch: pa.RecordBatch) -> dict:
-            return {"doc_id": batch["doc_id"], "score": [model.score(x) for x in batch["text"].to_pylist()]}
+            out: dict[str, list] = {"score": [], "n_offending": [], "worst_start": [], "worst_end": []}
+            for text in batch["text"].to_pylist():
+                score = model.score(text)
+                where = [x for x in model.located(text) if x[2] >= least] if score >= least else []
+                worst = max(where, key=lambda x: (x[2], -x[0]), default=(None, None))
+                for k, v in zip(out, (score, len(where), *worst[:2]), strict=True):
+                    out[k].append(v)
+            return {"doc_id": batch["doc_id"]} | out
 
         return each
 
-    return C.map_rows(docs.select("doc_id", C.text_bytes().alias("text")), make, "doc_id long, score double")
+    return C.map_rows(docs.select("doc_id", C.text_bytes().alias("text")), make, "doc_id long, score double, n_offending long, worst_start long, worst_end long")
 
 
 def offending(docs: DataFrame, model: Model, least: float = 0.5) -> DataFrame:
@@ -196,13 +214,14 @@ def clean(docs: DataFrame, labels: DataFrame, least: float = 0.5) -> DataFrame:
     def score(text):
         return text.map(model.score)
 
-    return docs.withColumn("_score", score(C.text_bytes())).where(F.col("_score") < least).select(*names)
+    own = C.free(docs, "_score")
+    return docs.withColumn(own, score(C.text_bytes())).where(F.col(own) < least).select(*names)
 
 
 def op2_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = C.documents(spark, sf_dir)
     found = scored(docs, train(docs, spark.read.parquet(f"{sf_dir}/labels.parquet")))
-    return found.select("doc_id", (remainder("doc_id", 5) == 0).alias("held_out"), "score", (F.col("score") >= 0.5).cast("int").alias("predicted"))
+    return found.select("doc_id", (remainder("doc_id", 5) == 0).alias("held_out"), "score", (F.col("score") >= 0.5).cast("int").alias("predicted"), "n_offending", "worst_start", "worst_end")
 
 
 QUERIES = {"op2_toxicity": op2_toxicity}
