@@ -57,14 +57,20 @@ def shingles(text: bytes, seen: dict) -> np.ndarray:
 
 
 def signature(x: np.ndarray) -> np.ndarray:
-    """PERMUTATIONS minima, 16 bits of each; all ones for no shingles."""
+    """PERMUTATIONS minima, 16 bits of each after a scramble, as the leading bits of minima vanish in long texts; all ones for no shingles."""
     least = np.full(PERMUTATIONS, 2**64 - 1, np.uint64)
     with np.errstate(over="ignore"):
         for at in range(0, len(x), 1024):
             moved = np.multiply.outer(_A, x[at : at + 1024])
             moved += _B[:, None]
             np.minimum(least, moved.min(1), out=least)
-    return (least >> np.uint64(40)).astype(np.uint16)
+    if not len(x):
+        return np.full(PERMUTATIONS, 2**16 - 1, np.uint16)
+    with np.errstate(over="ignore"):
+        least ^= least >> np.uint64(32)
+        least *= np.uint64(0xD6E8FEB86659FD93)
+        least ^= least >> np.uint64(32)
+    return (least >> np.uint64(24)).astype(np.uint16)
 
 
 def likeness(a: np.ndarray, b: np.ndarray) -> float:
