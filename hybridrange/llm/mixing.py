@@ -5,9 +5,10 @@ source size, and once more with probability r - floor(r).  Those fractional
 probabilities are rounded by balanced sampling: a step within the null space of
 the constraints (words and number of documents) moves three documents at a time
 until one of them reaches 0 or 1.  Blocks of one source are worked on in
-parallel; the at most two documents a block leaves open meet in the next round,
-until one block holds them, and the last ones are landed by dropping the count
-constraint and then rounding by the running total.
+parallel, the largest documents first; the few that a block leaves open meet in
+the next round, until one block holds them.  There the last LAND ones are landed
+by the best of all their roundings, and what this still owes is made up by
+turning one or two documents of the block round.
 """
 
 from __future__ import annotations
@@ -24,6 +25,10 @@ from . import common as C
 
 #: Most documents of a block of the flight phase.
 BLOCK = 2_000
+#: Most documents that flight leaves to be landed.
+LAND = 12
+#: Part of a block's words that it may miss.
+MISS = 0.001
 #: No source is taken more often than this.
 CAP = 3.0
 TINY = 1e-9
@@ -54,9 +59,9 @@ def targets(sizes: dict[str | None, int], weights: list[float] | None = None, ca
     return out
 
 
-def flight(p: np.ndarray, size: np.ndarray, draw: np.random.Generator, count: bool = True) -> np.ndarray:
-    """Moves probabilities to 0 or 1, keeping the sum of p*size (and of p) as it is; at most two (one) stay open."""
-    p, width = p.copy(), 3 if count else 2
+def flight(p: np.ndarray, size: np.ndarray, draw: np.random.Generator, leave: int = 2) -> np.ndarray:
+    """Moves probabilities to 0 or 1, keeping the sums of p*size and of p as they are; at most two, or ``leave``, stay open."""
+    p, width = p.copy(), 3
     todo = [i for i in range(len(p)) if TINY < p[i] < 1 - TINY]
     todo.reverse()
     hand: list[int] = []
@@ -65,15 +70,12 @@ def flight(p: np.ndarray, size: np.ndarray, draw: np.random.Generator, count: bo
     while True:
         while len(hand) < width and todo:
             hand.append(todo.pop())
-        if len(hand) < width:
+        if len(hand) < width or len(hand) + len(todo) <= leave:
             return p
         s = [float(size[i]) for i in hand]
-        if count:
-            v = [s[1] - s[2], s[2] - s[0], s[0] - s[1]]
-            if not any(v):
-                v = [1.0, -1.0, 0.0]
-        else:
-            v = [s[1], -s[0]] if s[0] or s[1] else [1.0, -1.0]
+        v = [s[1] - s[2], s[2] - s[0], s[0] - s[1]]
+        if not any(v):
+            v = [1.0, -1.0, 0.0]
         up = min(((1 - p[i]) / x if x > 0 else -p[i] / x) for i, x in zip(hand, v, strict=True) if x)
         down = min((p[i] / x if x > 0 else (p[i] - 1) / x) for i, x in zip(hand, v, strict=True) if x)
         step = up if uniform[u] * (up + down) < down else -down
@@ -89,25 +91,45 @@ def flight(p: np.ndarray, size: np.ndarray, draw: np.random.Generator, count: bo
         hand = [i for i in hand if 0 < p[i] < 1]
 
 
-def land(p: np.ndarray, size: np.ndarray, draw: np.random.Generator) -> np.ndarray:
-    """Rounds the few open ones: words only, then the largest first by what is still owed."""
-    p = flight(p, size, draw, count=False)
-    owed = 0.0
-    for i in sorted(np.nonzero((p > 0) & (p < 1))[0], key=lambda i: -size[i]):
-        take = 1.0 if owed + p[i] * size[i] >= size[i] / 2 else 0.0
-        owed += (p[i] - take) * size[i]
-        p[i] = take
+def land(p: np.ndarray, size: np.ndarray) -> np.ndarray:
+    """Rounds the few open ones: of all their roundings the one nearest in words, then in number."""
+    p = p.copy()
+    open_ = np.flatnonzero((p > 0) & (p < 1))
+    if len(open_):
+        ways = (np.arange(1 << len(open_))[:, None] >> np.arange(len(open_))) & 1
+        words, number = np.abs(ways @ size[open_] - p[open_] @ size[open_]), np.abs(ways.sum(1) - p[open_].sum())
+        p[open_] = ways[np.lexsort((number, words))[0]]
     return p
 
 
-def steps(seed: int, last: bool):
+def made_up(taken: np.ndarray, owed: float, size: np.ndarray, free: np.ndarray, within: float) -> np.ndarray:
+    """Turns one or two of the ``free`` documents round at a time while that brings the words taken nearer to what is owed."""
+    taken = taken.copy()
+    while (gap := owed - float(taken @ size)) and abs(gap) > within:
+        at = free[np.argsort((1 - 2 * taken[free]) * size[free], kind="stable")]
+        change = (1 - 2 * taken[at]) * size[at]
+        if not len(at):
+            break
+        pick = np.clip(np.searchsorted(change, gap - change), 0, len(at) - 1)
+        pairs = [(abs(gap - change[i]), i, i) for i in range(len(at))]
+        pairs += [(abs(gap - change[i] - change[j]), i, j) for i, k in enumerate(pick.tolist()) for j in (max(0, k - 1), k) if i != j]
+        best, i, j = min(pairs)
+        if best >= abs(gap):
+            break
+        for x in {i, j}:
+            taken[at[x]] = 1 - taken[at[x]]
+    return taken
+
+
+def steps(seed: int, last: bool, leave: int):
     def each(key: tuple[pa.Scalar, ...], rows: pa.Table) -> pa.Table:
-        rows = rows.sort_by([("turn", "ascending"), ("doc_id", "ascending"), ("size", "ascending"), ("rid", "ascending")])
-        p, size = rows["p"].to_numpy().copy(), rows["size"].to_numpy()
-        draw = np.random.default_rng([seed, zlib.crc32(str(key[0].as_py()).encode()), key[1].as_py(), len(p)])
-        p = flight(p, size, draw)
+        rows = rows.sort_by([("size", "descending"), ("turn", "ascending"), ("doc_id", "ascending"), ("rid", "ascending")])
+        start, size = rows["p"].to_numpy().copy(), rows["size"].to_numpy()
+        draw = np.random.default_rng([seed, zlib.crc32(str(key[0].as_py()).encode()), key[1].as_py(), len(start)])
+        p = flight(start, size, draw, leave)
         if last:
-            p = land(p, size, draw)
+            owed = float(start @ size)
+            p = made_up(land(p, size), owed, size, np.flatnonzero((start > TINY) & (start < 1 - TINY)), MISS * owed)
         return rows.set_column(rows.schema.get_field_index("p"), "p", pa.array(p))
 
     return each
@@ -134,7 +156,7 @@ def mix(docs: DataFrame, weights: list[float] | None = None, cap: float = CAP, s
     while True:
         last = most <= block
         deal = F.lit(0).cast("long") if last else F.pmod(F.xxhash64("turn", "size"), F.col("blocks"))
-        flown = C.cut(open_.withColumn("block", deal).drop("blocks").groupBy("source", "block").applyInArrow(steps(seed, last), kind), "flight")
+        flown = C.cut(open_.withColumn("block", deal).drop("blocks").groupBy("source", "block").applyInArrow(steps(seed, last, max(2, min(LAND, block // 4))), kind), "flight")
         settled.append(flown.where("p = 0 or p = 1").select("rid", "p"))
         if last:
             break
@@ -150,9 +172,10 @@ def mix(docs: DataFrame, weights: list[float] | None = None, cap: float = CAP, s
 def mixed_rows(docs: DataFrame, **how) -> DataFrame:
     """The rows of the mix with the columns of ``docs``, each as often as it is taken."""
     names, docs = docs.columns, C.stable(docs)
-    drawn = mix(docs, **how).where("copies > 0").select(F.col("rid").alias("_rid"), F.col("copies").alias("_copies"))
-    rows = docs.withColumn("_rid", F.monotonically_increasing_id()).join(drawn, "_rid")
-    return rows.withColumn("_turn", F.explode(F.sequence(F.lit(1).cast("long"), F.col("_copies")))).select(*names)
+    rid, copies, turn = (C.free(docs, x) for x in ("_rid", "_copies", "_turn"))
+    drawn = mix(docs, **how).where("copies > 0").select(F.col("rid").alias(rid), F.col("copies").alias(copies))
+    rows = docs.withColumn(rid, F.monotonically_increasing_id()).join(drawn, rid)
+    return rows.withColumn(turn, F.explode(F.sequence(F.lit(1).cast("long"), F.col(copies)))).select(*names)
 
 
 def op7_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
