@@ -15,12 +15,12 @@ the Jaccard similarity of the shingle sets decides.
 from __future__ import annotations
 
 from itertools import product
-from math import acos, ceil, pi, sqrt
+from math import acos, ceil, log, pi, sqrt
 
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import common as C
@@ -117,22 +117,22 @@ def packed(lanes: int):
     return each
 
 
-def close(a: np.ndarray, b: np.ndarray, same: bool, near: int, radius: int) -> tuple[np.ndarray, np.ndarray]:
-    """Ids of the rows of two tiles within ``radius`` bits over all lanes, and within ``near`` on the first."""
-    lanes = a.shape[1] - 1
+def close(a: np.ndarray, b: np.ndarray, same: bool, radius: int) -> tuple[np.ndarray, np.ndarray]:
+    """Ids of the rows of two tiles within ``radius`` bits over all lanes."""
     x, y = a[:, 1:].view(np.uint64), b[:, 1:].view(np.uint64)
     gap = np.bitwise_count(x[:, None, 0] ^ y[None, :, 0])
-    found = np.flatnonzero(gap <= near)
-    i, j = np.divmod(found, len(y))
+    for lane in range(1, x.shape[1]):
+        gap += np.bitwise_count(x[:, None, lane] ^ y[None, :, lane])  # 256 wraps to 0, which the full sums below put right
+    i, j = np.divmod(np.flatnonzero(gap <= radius), len(y))
     if same:
         i, j = i[i < j], j[i < j]
-    if lanes > 1 and len(i):
+    if x.shape[1] > 1 and len(i):
         keep = np.bitwise_count(x[i] ^ y[j]).sum(1, dtype=np.int64) <= radius
         i, j = i[keep], j[keep]
     return a[i, 0], b[j, 0]
 
 
-def compared(lanes: int, near: int, radius: int):
+def compared(lanes: int, radius: int):
     """Compares tile pairs; gives a spanning forest of the links found since the last one given."""
     held: list = []
 
@@ -140,7 +140,7 @@ def compared(lanes: int, near: int, radius: int):
         if batch is not None:
             shape = lambda x: np.frombuffer(x, np.int64).reshape(-1, lanes + 1)
             for left, right, same in zip(batch["left"].to_pylist(), batch["right"].to_pylist(), batch["same"].to_pylist(), strict=True):
-                a, b = close(shape(left), shape(right), same, near, radius)
+                a, b = close(shape(left), shape(right), same, radius)
                 if len(a):
                     held.append(np.stack([a, b]))
         if not held or batch is not None and sum(x.shape[1] for x in held) < 200_000:
@@ -156,36 +156,42 @@ def compared(lanes: int, near: int, radius: int):
     return each
 
 
-def offsets(segments: int, bin_width: int, radius: int) -> list[tuple[int, ...]]:
-    """Half of the steps between tiles whose population counts may be within the radius, zero included."""
+def offsets(segments: int, bin_width: int, radius: int, sized: bool = False) -> list[tuple[int, ...]]:
+    """Half of the steps between tiles whose population counts may be within the radius, zero included; with ``sized`` the first step is to the next bin of sizes."""
     least = lambda d: (abs(d) - 1) * bin_width + 1 if d else 0
-    reach = ceil(radius / bin_width)
-    return [d for d in product(range(-reach, reach + 1), repeat=segments) if d >= (0,) * segments and sum(map(least, d)) <= radius]
+    reach = min(ceil(radius / bin_width), 64 // segments // bin_width)
+    every = [d for d in product(range(-reach, reach + 1), repeat=segments) if sum(map(least, d)) <= radius]
+    half = [d for d in every if d >= (0,) * segments]
+    return [(0, *d) for d in half] + [(1, *d) for d in every] if sized else half
 
 
-def near_links(prints: DataFrame, radius: int, lanes: int = 1, segments: int = 4, bin_width: int = 1, near: int | None = None, salts: int | None = None) -> DataFrame:
+def near_links(prints: DataFrame, radius: int, lanes: int = 1, segments: int = 4, bin_width: int = 1, salts: int | None = None, sized: bool = False, cell: int = 32) -> DataFrame:
     """Spanning links (a, b) of all fingerprints ``prints(rep, f0, ...)`` within ``radius`` bits.
 
     Tiles are keyed by the population counts of ``segments`` parts of the first
     lane, in bins; ``salts`` deals the tiles of one key out further, by default
-    as the fullest key asks.
+    as the fullest key asks, without end.  With ``sized`` only tiles whose column
+    ``size_bin`` is equal or next to each other meet.
     """
     spark, size = prints.sparkSession, 64 // segments
     mask = F.lit((1 << size) - 1 if size < 64 else -1).cast("long")
     base = 64 // bin_width + 2
     key = sum((F.floor(F.bit_count(F.shiftrightunsigned("f0", size * i).bitwiseAND(mask)) / bin_width) + 1) * base ** (segments - 1 - i) for i in range(segments)).cast("long")
+    if sized:
+        key = (F.col("size_bin") * base**segments + key).cast("long")
     if salts is None:
         most = prints.groupBy(key.alias("key")).count().agg(F.max("count")).first()[0] or 0
-        salts = max(1, min(16, most // (32 * TILE)))
+        salts = max(1, min(16, most // (cell * TILE)), -(-most // (256 * TILE)))
     keyed = prints.withColumns({"key": key, "salt": F.pmod(F.xxhash64("rep"), F.lit(salts)).cast("int")})
     tiles = C.cut(C.map_rows(keyed.repartition(C.width(spark), "key", "salt").sortWithinPartitions("key", "salt", "rep"), lambda: packed(lanes), "key long, salt int, blob binary", flush=True), "tiles")
-    steps = [(sum(x * base ** (segments - 1 - i) for i, x in enumerate(d)), not any(d)) for d in offsets(segments, bin_width, near if near is not None else radius)]
+    widths = [base ** (segments - 1 - i) for i in range(-sized, segments)]
+    steps = [(sum(x * w for x, w in zip(d, widths, strict=True)), not any(d)) for d in offsets(segments, bin_width, radius, sized)]
     ident = F.xxhash64("blob")
     home = tiles.select("key", "salt", F.col("blob").alias("left"), ident.alias("li"))
     deal = F.array(*[F.struct(F.lit(s).cast("long").alias("step"), F.lit(z).alias("zero"), F.lit(i).alias("salt")) for s, z in steps for i in range(salts)])
     guest = tiles.select("blob", ident.alias("ri"), F.col("key").alias("own"), F.explode(deal).alias("d")).select((F.col("own") + F.col("d.step")).alias("key"), F.col("d.salt").alias("salt"), F.col("d.zero").alias("zero"), F.col("blob").alias("right"), "ri")
     pairs = home.join(guest, ["key", "salt"]).where(~F.col("zero") | (F.col("li") <= F.col("ri")))
-    return C.map_rows(pairs.select("left", "right", (F.col("zero") & (F.col("li") == F.col("ri"))).alias("same")), lambda: compared(lanes, near if near is not None else radius, radius), "a long, b long", flush=True)
+    return C.map_rows(pairs.select("left", "right", (F.col("zero") & (F.col("li") == F.col("ri"))).alias("same")), lambda: compared(lanes, radius), "a long, b long", flush=True)
 
 
 def near_groups(docs: DataFrame, k: int = 3, radius: int = 3, **how) -> DataFrame:
@@ -211,9 +217,9 @@ def radius_for(similarity: float, bits: int) -> int:
     return round(bits * acos(2 * similarity / (1 + similarity)) / pi)
 
 
-#: The near-dedup of the pipeline: five-word shingles and four lanes.
+#: The near-dedup of the pipeline: five-word shingles and four lanes, whose radius is too wide for population counts to part tiles; sizes do.
 LANES = 4
-WIDE = {"k": 5, "lanes": LANES, "segments": 1, "near": 20, "bin_width": 20, "salts": 12}
+WIDE = {"k": 5, "lanes": LANES, "segments": 1, "bin_width": 65, "sized": True, "cell": 8}
 
 
 def wide_radius(similarity: float = 0.8, room: float = 1.0) -> int:
@@ -230,6 +236,11 @@ BLOCK = 256
 COLUMNS = 8192
 
 
+def size_bin(size: Column, similarity: float) -> Column:
+    """Sets of this similarity differ in size by a factor of 1 / similarity at most, hence by one bin."""
+    return F.when(size > 0, F.floor(F.log(size.cast("double")) / -log(similarity) + 1e-9)).otherwise(-2).cast("int")
+
+
 def sets(docs: DataFrame, k: int) -> DataFrame:
     """(doc_id, content, shingles, f0, ...): the distinct shingle hashes in order, a name for them, and their fingerprint."""
 
@@ -329,12 +340,13 @@ def verified(docs: DataFrame, families: DataFrame, similarity: float, k: int, bl
 def alike_groups(docs: DataFrame, similarity: float = 0.8, block: int | None = None) -> DataFrame:
     """(doc_id, component_id) of every row: the smallest doc_id reachable over pairs whose shingle sets have this Jaccard similarity or more.
 
-    The radius with its room only finds families of candidates.  All pairs of a
+    The radius with its room only finds families of candidates; sets whose sizes
+    rule the similarity out never meet.  All pairs of a
     family are then compared on their shingle sets, and only links that hold
     make groups.  Texts with equal sets are one node.
     """
-    each = C.cut(sets(docs, WIDE["k"]).drop("shingles"), "prints")
-    distinct = C.cut(each.groupBy("content", *(f"f{i}" for i in range(LANES))).agg(F.min("doc_id").alias("rep")), "distinct")
+    each = C.cut(sets(docs, WIDE["k"]).withColumn("n", (F.length("shingles") / 8).cast("long")).drop("shingles"), "prints")
+    distinct = C.cut(each.groupBy("content", *(f"f{i}" for i in range(LANES))).agg(F.min("doc_id").alias("rep"), size_bin(F.first("n"), similarity).alias("size_bin")), "distinct")
     how = {n: x for n, x in WIDE.items() if n != "k"}
     with C.rows_per_batch(docs.sparkSession, 200):
         families = C.cut(C.components(near_links(distinct.where("rep is not null"), wide_radius(similarity, ROOM), **how)), "families")
@@ -345,8 +357,9 @@ def alike_groups(docs: DataFrame, similarity: float = 0.8, block: int | None = N
 
 def dedup(docs: DataFrame, similarity: float = 0.8) -> DataFrame:
     """Keeps the row with the smallest doc_id of each group of near copies, whose links are verified."""
-    groups = alike_groups(docs, similarity).where(F.col("doc_id") != F.col("component_id")).select(F.col("doc_id").alias("_gone"))
-    return docs.join(groups, F.col("doc_id") == F.col("_gone"), "left_anti")
+    own = C.free(docs, "_gone")
+    groups = alike_groups(docs, similarity).where(F.col("doc_id") != F.col("component_id")).select(F.col("doc_id").alias(own))
+    return docs.join(groups, docs["doc_id"] == groups[own], "left_anti")
 
 
 def op1_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
