@@ -36,6 +36,8 @@ FAN = 64
 #: Units that a process remembers.
 MEMO = 800_000
 MARK = "▁"
+#: Stands for a literal word mark: a lone surrogate, which no text in UTF-8 holds.
+STAND = "\ud800"
 NONE = -(2**60)
 #: Word marks with what follows them; no piece holds a line feed, so it stands alone.
 UNIT = re.compile(f"{MARK}*[^{MARK}\n]+|{MARK}+|\n")
@@ -104,8 +106,8 @@ class Pieces:
         return (p,) if p is not None else tuple(self.byte_id[b] for b in self.raw(piece))
 
     def raw(self, piece: str) -> bytes:
-        """Bytes of a character without piece; a private stand-in is the word mark itself."""
-        return piece.replace("﷐", MARK).encode("utf-8", "surrogatepass")
+        """Bytes of a character without piece; the stand-in is spelled as the word mark itself."""
+        return piece.replace(STAND, MARK).encode("utf-8", "surrogatepass")
 
     def learn(self, units: set[str]) -> None:
         """Solves the units that aren't remembered, all in one pass."""
@@ -233,7 +235,7 @@ def loaded(model: str) -> Pieces:
 
 def marked(text: str) -> str:
     """A giant text's spaces as word marks, and its literal word marks as a character that no piece has."""
-    return text.replace(MARK, "﷐").replace(" ", MARK)
+    return text.replace(MARK, STAND).replace(" ", MARK)
 
 
 def scan(parts: DataFrame, model: str) -> DataFrame:
@@ -315,9 +317,8 @@ def chunks_of(docs: DataFrame, model: str, chunk: int) -> DataFrame:
         def each(batch: pa.RecordBatch) -> dict | None:
             out: dict[str, list] = {"rid": [], "c": [], "size": [], "text": []}
             for rid, text in zip(batch["rid"].to_pylist(), batch["text"].to_pylist(), strict=True):
-                whole = marked(text)
-                for c, at in enumerate(range(0, len(whole), chunk)):
-                    for k, v in zip(out, (rid, c, min(chunk, len(whole) - at), whole[at : at + chunk + reach - 1]), strict=True):
+                for c, at in enumerate(range(0, len(text), chunk)):
+                    for k, v in zip(out, (rid, c, min(chunk, len(text) - at), text[at : at + chunk + reach - 1]), strict=True):
                         out[k].append(v)
             return out if out["rid"] else None
 
@@ -334,7 +335,7 @@ def encode_giants(giants: DataFrame, model: str, chunk: int) -> DataFrame:
         pieces = loaded(model)
 
         def each(batch: pa.RecordBatch) -> dict:
-            return {"rid": batch["rid"], "c": batch["c"], "m": [pieces.matrix(t, n).tobytes() for t, n in zip(batch["text"].to_pylist(), batch["size"].to_pylist(), strict=True)]}
+            return {"rid": batch["rid"], "c": batch["c"], "m": [pieces.matrix(marked(t), n).tobytes() for t, n in zip(batch["text"].to_pylist(), batch["size"].to_pylist(), strict=True)]}
 
         return each
 
@@ -346,7 +347,7 @@ def encode_giants(giants: DataFrame, model: str, chunk: int) -> DataFrame:
 
         def each(batch: pa.RecordBatch) -> dict:
             rows = zip(*(batch[c].to_pylist() for c in ("text", "size", "entry")), strict=True)
-            return {"rid": batch["rid"], "c": batch["c"], "f": [pieces.entries(t, n, np.frombuffer(e, np.int64).tolist()).tobytes() for t, n, e in rows]}
+            return {"rid": batch["rid"], "c": batch["c"], "f": [pieces.entries(marked(t), n, np.frombuffer(e, np.int64).tolist()).tobytes() for t, n, e in rows]}
 
         return each
 
@@ -355,7 +356,7 @@ def encode_giants(giants: DataFrame, model: str, chunk: int) -> DataFrame:
 
         def each(batch: pa.RecordBatch) -> dict:
             rows = zip(*(batch[c].to_pylist() for c in ("text", "size", "entry", "leave")), strict=True)
-            return {"rid": batch["rid"], "c": batch["c"], "ids": [pieces.chunk(t, n, np.frombuffer(e, np.int64).tolist(), x) for t, n, e, x in rows]}
+            return {"rid": batch["rid"], "c": batch["c"], "ids": [pieces.chunk(marked(t), n, np.frombuffer(e, np.int64).tolist(), x) for t, n, e, x in rows]}
 
         return each
 
