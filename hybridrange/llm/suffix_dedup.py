@@ -11,6 +11,10 @@ array decides: only suffixes smaller than their successors are sorted directly,
 the rest is induced by scans over the buckets of first bytes, and adjacent common
 prefixes of LENGTH bytes mark repeats.  The strings of groups beyond GROUP
 contexts are settled by exact counts instead.
+
+Passages of over PASSAGE words may be shorter than LENGTH bytes, so documents
+that share one with another document are marked beside: every string of PASSAGE
+words holds a least gram of words, whose surroundings are compared by blocks.
 """
 
 from __future__ import annotations
@@ -18,10 +22,11 @@ from __future__ import annotations
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import common as C
+from .minhash import WordHashes
 
 LENGTH = 400
 GRAM = 32
@@ -29,6 +34,10 @@ GRAM = 32
 GROUP = 150_000
 #: Bytes that are sorted at once; a group with more distinct bytes is counted in the task.
 BATCH, MOST = 600_000, 2_000_000
+#: Words of a passage; words of the grams that anchor it, of a block beside, and blocks of each side that are compared.
+PASSAGE, WORDS, STEP, SIDE = 50, 8, 7, 6
+#: Blocks of both sides together that a string of more than PASSAGE words around its anchor is sure to cover.
+COVERED = -(-(PASSAGE + 1 - WORDS - 2 * (STEP - 1)) // STEP)
 _BASE, _INVERSE = 0x9E3779B97F4A7C15, pow(0x9E3779B97F4A7C15, -1, 2**64)
 _POWERS: dict[str, np.ndarray] = {}
 
@@ -48,7 +57,8 @@ def gram_hashes(b: np.ndarray, k: int = GRAM) -> np.ndarray:
     """A hash of every k-gram by prefix sums of powers modulo 2**64."""
     up, down = powers(len(b) + 1)
     with np.errstate(over="ignore"):
-        sums = np.concatenate([np.zeros(1, np.uint64), np.cumsum((b.astype(np.uint64) + np.uint64(1)) * up[: len(b)])])
+        sums = np.zeros(len(b) + 1, np.uint64)
+        np.cumsum((b.astype(np.uint64) + np.uint64(1)) * up[: len(b)], out=sums[1:])
         h = (sums[k:] - sums[:-k]) * down[: len(b) - k + 1]
         h ^= h >> np.uint64(32)
         h *= np.uint64(0xD6E8FEB86659FD93)
@@ -187,12 +197,111 @@ def signed(x: int) -> int:
     return x - 2**64 if x >= 2**63 else x
 
 
+def around(text: bytes, seen: dict) -> tuple[np.ndarray, np.ndarray] | None:
+    """Hashes of the grams that anchor the strings of PASSAGE words, and SIDE bytes for the blocks to the left and to the right of each; 0 stands for none."""
+    w = text.split()
+    if len(w) < PASSAGE:
+        return None
+    h = np.fromiter(map(seen.__getitem__, w), np.uint64, len(w))
+    grams, blocks = gram_hashes(h, WORDS), (gram_hashes(h, STEP) % np.uint64(255)).astype(np.uint8) + np.uint8(1)
+    wide = PASSAGE - WORDS + 1
+    pad = np.zeros(wide - 1, np.uint64)
+    at = np.flatnonzero(sliding(np.concatenate([pad, sliding(grams, wide), pad]), wide, np.maximum) == grams)
+    left, right = at[:, None] - STEP * np.arange(1, SIDE + 1), at[:, None] + WORDS + STEP * np.arange(SIDE)
+    both = np.concatenate([left, right], 1)
+    inside = (both >= 0) & (both < len(blocks))
+    return grams[at], np.where(inside, blocks[np.where(inside, both, 0)], 0).astype(np.uint8)
+
+
+def worded(parts: int):
+    """The anchors of words of a slice of texts, dealt by their hash: one row for each part."""
+    seen = WordHashes()
+
+    def each(batch: pa.RecordBatch) -> dict | None:
+        rids, found = batch["rid"].to_pylist(), [around(x, seen) for x in batch["text"].to_pylist()]
+        some = [i for i, x in enumerate(found) if x]
+        if not some:
+            return None
+        keys, sides = (np.concatenate([found[i][j] for i in some]) for j in (0, 1))
+        # rows of a slice are numbered on, so that a few bits tell them apart
+        at = np.repeat(np.array([rids[i] - rids[0] for i in some], np.uint16), [len(found[i][0]) for i in some])
+        part = (keys % np.uint64(parts)).astype(np.int64)
+        order = np.argsort(part, kind="stable")
+        cuts = np.flatnonzero(np.diff(part[order])) + 1
+        runs = [*zip([0, *cuts.tolist()], [*cuts.tolist(), len(order)], strict=True)]
+        keys, sides, at = keys[order], sides[order], at[order]
+        out = {"part": [int(part[order[a]]) for a, _ in runs], "base": [rids[0]] * len(runs)}
+        return out | {"keys": [keys[a:b].tobytes() for a, b in runs], "sides": [sides[a:b].tobytes() for a, b in runs], "at": [at[a:b].tobytes() for a, b in runs]}
+
+    return each
+
+
+def met(rows: pa.Table) -> pa.Table:
+    """(rid, marks): how many anchors of each text have surroundings that another text has, from all anchors of one part."""
+    join = lambda c, t: np.frombuffer(b"".join(rows[c].to_pylist()), t)
+    keys, sides = join("keys", np.uint64), join("sides", np.uint8).reshape(-1, 2 * SIDE)
+    rid = np.repeat(rows["base"].to_numpy(), [len(x) // 8 for x in rows["keys"].to_pylist()]) + join("at", np.uint16)
+    order = np.argsort(keys, kind="stable")
+    same = keys[order][1:] == keys[order][:-1]
+    live = np.sort(order[np.append(same, False) | np.insert(same, 0, False)])  # a gram that occurs once meets nothing
+    keys, sides, rid = keys[live], sides[live], rid[live]
+    hit = np.zeros(len(keys), bool)
+    for n in range(max(0, COVERED - SIDE), min(SIDE, COVERED) + 1):
+        # n blocks to the left and the others to the right
+        block = np.concatenate([sides[:, :n], sides[:, SIDE : SIDE + COVERED - n]], 1)
+        whole = np.flatnonzero((block > 0).all(1))
+        with np.errstate(over="ignore"):
+            code = keys[whole].copy()
+            for c in range(COVERED):
+                code = (code ^ block[whole, c]) * np.uint64(_BASE)
+                code ^= code >> np.uint64(29)
+        order = np.argsort(code, kind="stable")
+        heads = np.flatnonzero(np.append(True, code[order][1:] != code[order][:-1])) if len(order) else order
+        if len(heads):
+            of = rid[whole][order]
+            many = np.minimum.reduceat(of, heads) != np.maximum.reduceat(of, heads)
+            hit[whole[order]] |= np.repeat(many, np.diff(np.append(heads, len(order))))
+    found, marks = np.unique(rid[hit], return_counts=True)
+    return pa.table({"rid": pa.array(found, pa.int64()), "marks": pa.array(marks, pa.int64())})
+
+
+def shared_passages(rows: DataFrame) -> DataFrame:
+    """(rid, marks) of the texts of ``rows(rid, text)`` that share a passage with another one.
+
+    Every passage of more than PASSAGE words (runs of bytes other than white
+    space) that occurs in two texts is marked; so may be one that holds an
+    anchor and COVERED blocks of STEP words.
+    """
+    parts = C.width(rows.sparkSession)
+    dealt = C.map_rows(rows, lambda: worded(parts), "part int, base long, keys binary, sides binary, at binary")
+    return dealt.groupBy("part").applyInArrow(met, "rid long, marks long").groupBy("rid").agg(F.sum("marks").alias("marks"))
+
+
+def packed(p: Column, left: Column, right: Column) -> Column:
+    """A place, and the reach of its context to both sides, in one number; a reach is less than 2**11."""
+    return F.shiftleft(p.cast("long"), 22) + F.shiftleft(left.cast("long"), 11) + right
+
+
+def place_of(pack: Column) -> Column:
+    return F.shiftright(pack, 22)
+
+
+def left_of(pack: Column) -> Column:
+    return F.shiftright(pack, 11).bitwiseAND(F.lit(2047))
+
+
+def right_of(pack: Column) -> Column:
+    return pack.bitwiseAND(F.lit(2047))
+
+
 def marked(length: int):
     """(rid, p, h1, h2, left, right, kl, kr) of each anchor: its context's hashes, and the keys of both sides.
 
     A context holds the strings judged at its anchor and nothing else.
     """
     half = length // 2 - GRAM // 2
+    if 2 * length >= 2**11:
+        raise ValueError("strings are too long for the packed reach of a context")
 
     def each(batch: pa.RecordBatch) -> dict | None:
         out: dict[str, list] = {x: [] for x in ("rid", "p", "h1", "h2", "left", "right", "kl", "kr")}
@@ -350,8 +459,8 @@ def sorted_out(length: int):
 
 def removed(length: int):
     def each(batch: pa.RecordBatch) -> dict:
-        out: dict[str, list] = {x: [] for x in ("doc_id", "n_bytes", "n_removed", "n_spans", "kept", "spans")}
-        for doc_id, text, starts in zip(batch["doc_id"].to_pylist(), batch["text"].to_pylist(), batch["starts"].to_pylist(), strict=True):
+        out: dict[str, list] = {x: [] for x in ("doc_id", "n_bytes", "n_removed", "n_spans", "kept", "spans", "n_shared")}
+        for doc_id, text, starts, marks in zip(*(batch[c].to_pylist() for c in ("doc_id", "text", "starts", "marks")), strict=True):
             runs: list[list[int]] = []
             for a, b in sorted((x["a"], x["b"] + length) for x in starts or ()):
                 if runs and a <= runs[-1][1]:
@@ -359,7 +468,7 @@ def removed(length: int):
                 else:
                     runs.append([a, b])
             cuts = [0, *(x for r in runs for x in r), len(text)]
-            row = (doc_id, len(text), sum(b - a for a, b in runs), len(runs), b"".join(text[a:b] for a, b in zip(cuts[::2], cuts[1::2], strict=True)), [x for r in runs for x in r])
+            row = (doc_id, len(text), sum(b - a for a, b in runs), len(runs), b"".join(text[a:b] for a, b in zip(cuts[::2], cuts[1::2], strict=True)), [x for r in runs for x in r], marks or 0)
             for k, v in zip(out, row, strict=True):
                 out[k].append(v)
         return out
@@ -370,41 +479,55 @@ def removed(length: int):
 def repeated_starts(rows: DataFrame, length: int = LENGTH) -> DataFrame:
     """(rid, a, b): runs of places in the texts of ``rows(rid, text)`` where a string of ``length`` bytes starts that starts elsewhere too."""
     spark = rows.sparkSession
-    every = C.cut(C.map_rows(rows, lambda: marked(length), "rid long, p int, h1 long, h2 long, left int, right int, kl long, kr long"), "anchors")
+    every = C.map_rows(rows, lambda: marked(length), "rid long, p int, h1 long, h2 long, left int, right int, kl long, kr long")
+    every = C.cut(every.select("rid", packed(F.col("p"), F.col("left"), F.col("right")).alias("pack"), "h1", "h2", "kl", "kr"), "anchors")
     context = ["h1", "h2"]
-    one = every.groupBy(*context).agg(F.count("*").alias("n"), F.min(F.struct("rid", "p")).alias("rep"), F.first("left").alias("left"), F.first("right").alias("right"), F.first("kl").alias("kl"), F.first("kr").alias("kr"))
+    # all of a context's anchors have the same bytes around them, so any of them stands for it
+    one = every.groupBy(*context).agg(F.count("*").alias("n"), *[F.first(c).alias(c) for c in ("rid", "pack", "kl", "kr")])
     one = C.cut(one, "contexts")
-    sides = one.select(*context, "rep", "left", "right", (F.col("n") > 1).alias("many"), F.posexplode(F.array("kl", "kr")).alias("side", "key")).where("key is not null")
-    shared = sides.groupBy("key").agg(F.count("*").alias("k"), F.min("many").alias("settled")).where("k > 1 and not settled")
-    asked = sides.join(shared, "key").select("key", (F.col("k") > GROUP).alias("hot"), F.when(F.col("k") > GROUP, F.pmod(F.xxhash64("h1"), F.ceil(F.col("k") / 1024))).otherwise(0).cast("int").alias("salt"), *context, "many", "side", "rep", "left", "right")
-    by_text = asked.groupBy(F.col("rep.rid").alias("rid")).agg(F.collect_list(F.struct("key", "salt", "hot", *context, "many", "side", "left", "right", F.col("rep.p").alias("p"))).alias("asked"))
+    side = F.posexplode(F.array("kl", "kr")).alias("side", "key")
+    sides = one.select(*context, "rid", ((F.col("pack") * 2) + (F.col("n") > 1).cast("long")).alias("pack"), side).where("key is not null")
+    sides = sides.select("key", *context, "rid", (F.col("pack") * 2 + F.col("side")).alias("pack"))
+    many = (F.shiftright("pack", 1).bitwiseAND(F.lit(1)) == 1).alias("many")
+    shared = sides.groupBy("key").agg(F.count("*").alias("k"), F.min(many).alias("settled")).where("k > 1 and not settled")
+    place = F.shiftright("pack", 2)
+    what = ["key", (F.col("k") > GROUP).alias("hot"), F.when(F.col("k") > GROUP, F.pmod(F.xxhash64("h1"), F.ceil(F.col("k") / 1024))).otherwise(0).cast("int").alias("salt"), *context, many, F.col("pack").bitwiseAND(F.lit(1)).cast("int").alias("side")]
+    asked = sides.join(shared, "key").select("rid", *what, left_of(place).cast("int").alias("left"), right_of(place).cast("int").alias("right"), place_of(place).cast("int").alias("p"))
+    by_text = asked.groupBy("rid").agg(F.collect_list(F.struct("key", "salt", "hot", *context, "many", "side", "left", "right", "p")).alias("asked"))
     bits = C.map_rows(rows.join(by_text, "rid"), lambda: cut_out(length), "key long, salt int, hot boolean, h1 long, h2 long, many boolean, at long, back int, judged int, bytes binary, side int")
     groups = bits.repartition(C.width(spark), "key", "salt").sortWithinPartitions("hot", "key")
     found = C.cut(C.map_rows(groups, lambda: sorted_out(length), FOUND, flush=True), "found")
     open_ = found.where("w1 is not null")
     again = open_.groupBy("w1", "w2").agg(F.min("at").alias("x"), F.max("at").alias("y"), F.max("sure").alias("sure")).where("x <> y or sure").select("w1", "w2")
     starts = found.where("w1 is null").select(*context, "first", "last").union(open_.where("not sure").join(again, ["w1", "w2"]).select(*context, "first", "last"))
-    sole = every.join(starts, context).select("rid", (F.col("p") + F.col("first")).alias("a"), (F.col("p") + F.col("last")).alias("b"))
-    copies = one.where((F.col("n") > 1) & (F.col("left") + F.col("right") >= length)).select(*context)
-    whole = every.join(copies, context).select("rid", (F.col("p") - F.col("left")).cast("long").alias("a"), F.least(F.col("p"), F.col("p") + F.col("right") - length).cast("long").alias("b"))
-    return sole.union(whole)
+    # runs of places by context, with all of its places for one that occurs more than once
+    copies = one.where((F.col("n") > 1) & (left_of(F.col("pack")) + right_of(F.col("pack")) >= length))
+    whole = copies.select(*context, (-left_of(F.col("pack"))).alias("first"), F.least(F.lit(0), right_of(F.col("pack")) - length).alias("last"), F.col("n").alias("times"))
+    runs = starts.select(*context, "first", "last", F.lit(1).cast("long").alias("times")).join(whole.select(*context), context, "left_anti").unionByName(whole)
+    found_at = C.join_on_key(every.select("rid", "pack", *context), runs, context, "times", every.count())
+    return found_at.select("rid", (place_of(F.col("pack")) + F.col("first")).alias("a"), (place_of(F.col("pack")) + F.col("last")).alias("b"))
 
 
 def remove_repeats(docs: DataFrame, length: int = LENGTH) -> DataFrame:
-    """(doc_id, n_bytes, n_removed, n_spans, kept, spans) of every row; ``spans`` holds the bounds removed.
+    """(doc_id, n_bytes, n_removed, n_spans, kept, spans, n_shared) of every row; ``spans`` holds the bounds removed.
 
-    Null texts count as empty; texts shorter than ``length`` stay whole; rows that
+    ``n_shared`` is over zero where the text shares a passage of more than PASSAGE
+    words with another one, however few its bytes.  Null texts count as empty;
+    texts shorter than ``length`` stay whole; rows that
     repeat a doc_id are texts of their own, so equal ones remove each other; an
     empty table gives no rows.  Strings are judged on the input.
     """
     rows = C.stable(docs).select(F.monotonically_increasing_id().alias("rid"), "doc_id", C.text_bytes().alias("text"))
-    starts = repeated_starts(rows.select("rid", "text"), length).groupBy("rid").agg(F.collect_list(F.struct("a", "b")).alias("starts"))
-    return C.map_rows(rows.join(starts, "rid", "left"), lambda: removed(length), "doc_id long, n_bytes long, n_removed long, n_spans long, kept binary, spans array<long>")
+    texts = rows.select("rid", "text")
+    marks = C.cut(shared_passages(texts), "marks").select("rid", F.lit(None).cast("struct<a:long,b:long>").alias("run"), "marks")
+    runs = repeated_starts(texts, length).select("rid", F.struct(F.col("a").cast("long").alias("a"), F.col("b").cast("long").alias("b")).alias("run"), F.lit(0).cast("long").alias("marks"))
+    told = runs.union(marks).groupBy("rid").agg(F.collect_list("run").alias("starts"), F.sum("marks").alias("marks"))
+    return C.map_rows(rows.join(told, "rid", "left"), lambda: removed(length), "doc_id long, n_bytes long, n_removed long, n_spans long, kept binary, spans array<long>, n_shared long")
 
 
 def op6_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = remove_repeats(C.documents(spark, sf_dir))
-    return found.select("doc_id", "n_bytes", "n_removed", "n_spans", F.sha2("kept", 256).alias("kept_sha256"))
+    return found.select("doc_id", "n_bytes", "n_removed", "n_spans", F.sha2("kept", 256).alias("kept_sha256"), "n_shared")
 
 
 QUERIES = {"op6_suffix_dedup": op6_suffix_dedup}
