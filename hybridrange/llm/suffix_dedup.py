@@ -35,9 +35,9 @@ GROUP = 150_000
 #: Bytes that are sorted at once; a group with more distinct bytes is counted in the task.
 BATCH, MOST = 600_000, 2_000_000
 #: Words of a passage; words of the grams that anchor it, of a block beside, and blocks of each side that are compared.
-PASSAGE, WORDS, STEP, SIDE = 50, 8, 7, 6
+PASSAGE, WORDS, STEP = 50, 8, 7
 #: Blocks of both sides together that a string of more than PASSAGE words around its anchor is sure to cover.
-COVERED = -(-(PASSAGE + 1 - WORDS - 2 * (STEP - 1)) // STEP)
+SIDE = COVERED = -(-(PASSAGE + 1 - WORDS - 2 * (STEP - 1)) // STEP)
 _BASE, _INVERSE = 0x9E3779B97F4A7C15, pow(0x9E3779B97F4A7C15, -1, 2**64)
 _POWERS: dict[str, np.ndarray] = {}
 
@@ -223,15 +223,15 @@ def worded(parts: int):
         if not some:
             return None
         keys, sides = (np.concatenate([found[i][j] for i in some]) for j in (0, 1))
-        # rows of a slice are numbered on, so that a few bits tell them apart
-        at = np.repeat(np.array([rids[i] - rids[0] for i in some], np.uint16), [len(found[i][0]) for i in some])
+        # rows of a slice are numbered on, so that a byte tells them apart; 48 bits of a gram's hash do within a part
+        at = np.repeat(np.array([rids[i] - rids[0] for i in some], np.uint8), [len(found[i][0]) for i in some])
         part = (keys % np.uint64(parts)).astype(np.int64)
         order = np.argsort(part, kind="stable")
         cuts = np.flatnonzero(np.diff(part[order])) + 1
         runs = [*zip([0, *cuts.tolist()], [*cuts.tolist(), len(order)], strict=True)]
         keys, sides, at = keys[order], sides[order], at[order]
         out = {"part": [int(part[order[a]]) for a, _ in runs], "base": [rids[0]] * len(runs)}
-        return out | {"keys": [keys[a:b].tobytes() for a, b in runs], "sides": [sides[a:b].tobytes() for a, b in runs], "at": [at[a:b].tobytes() for a, b in runs]}
+        return out | {"keys": [keys[a:b].view(np.uint8).reshape(-1, 8)[:, 2:].tobytes() for a, b in runs], "sides": [sides[a:b].tobytes() for a, b in runs], "at": [at[a:b].tobytes() for a, b in runs]}
 
     return each
 
@@ -239,14 +239,17 @@ def worded(parts: int):
 def met(rows: pa.Table) -> pa.Table:
     """(rid, marks): how many anchors of each text have surroundings that another text has, from all anchors of one part."""
     join = lambda c, t: np.frombuffer(b"".join(rows[c].to_pylist()), t)
-    keys, sides = join("keys", np.uint64), join("sides", np.uint8).reshape(-1, 2 * SIDE)
-    rid = np.repeat(rows["base"].to_numpy(), [len(x) // 8 for x in rows["keys"].to_pylist()]) + join("at", np.uint16)
+    sides = join("sides", np.uint8).reshape(-1, 2 * SIDE)
+    keys = np.zeros((len(sides), 8), np.uint8)
+    keys[:, 2:] = join("keys", np.uint8).reshape(-1, 6)
+    keys = keys.view(np.uint64).reshape(-1)
+    rid = np.repeat(rows["base"].to_numpy(), [len(x) for x in rows["at"].to_pylist()]) + join("at", np.uint8)
     order = np.argsort(keys, kind="stable")
     same = keys[order][1:] == keys[order][:-1]
     live = np.sort(order[np.append(same, False) | np.insert(same, 0, False)])  # a gram that occurs once meets nothing
     keys, sides, rid = keys[live], sides[live], rid[live]
     hit = np.zeros(len(keys), bool)
-    for n in range(max(0, COVERED - SIDE), min(SIDE, COVERED) + 1):
+    for n in range(COVERED + 1):
         # n blocks to the left and the others to the right
         block = np.concatenate([sides[:, :n], sides[:, SIDE : SIDE + COVERED - n]], 1)
         whole = np.flatnonzero((block > 0).all(1))
