@@ -188,7 +188,7 @@ def test_bpe_counts(docs, rows):
 
 
 def test_lm_base_and_windows(docs, rows, empty):
-    got = {r.doc_id: r for r in attention_lm.score_all(docs, sample=200).collect()}
+    got = {r.doc_id: r for r in attention_lm.score_all(docs).collect()}
     words = {i: [*raw(t).lower().split(), b""] for i, t, *_ in rows}
     held = {i: zlib.crc32(str(i).encode()) % 7 == 2 for i in words}
     c = Counter(w for i, ws in words.items() if not held[i] for w in ws)
@@ -201,10 +201,37 @@ def test_lm_base_and_windows(docs, rows, empty):
     assert attention_lm.score_all(empty).count() == 0
 
 
+def test_lm_scores_agree_with_a_plain_mixture(spark, docs, rows, monkeypatch):
+    """Words in the table and words that are joined count alike, however few the table holds and however long they are."""
+    long_ = "x" * 90
+    more = docs.union(spark.createDataFrame([(5000 + i, f"{long_} of {long_}", "en", "a", 1) for i in range(4)], SCHEMA)).repartition(1)
+    monkeypatch.setattr(attention_lm, "SHARES", (0.4,))
+    want = {r.doc_id: r.score for r in attention_lm.score_all(more).collect()}
+    monkeypatch.setattr(attention_lm, "HOT", 3)
+    got = {r.doc_id: r.score for r in attention_lm.score_all(more).collect()}
+    assert want.keys() == got.keys() and all(math.isclose(want[i], got[i], rel_tol=1e-6) for i in want)
+    known = attention_lm.score_all(more).where("doc_id >= 5000 and n_known < n_tokens").count()
+    assert known == 0
+
+
+def test_lm_shares_within_classes_add_up_to_one():
+    import pyarrow as pa
+
+    seen = np.random.default_rng(2).integers(0, 50, 5000)
+    net = attention_lm.laid_out(seen, np.arange(5000) % 3 == 0)
+    place = np.where(net.column < attention_lm.COLUMNS, net.column, attention_lm.COLUMNS + net.cls)[:5000]
+    table, own = attention_lm.within(net, pa.table({"row": [0, 0, 3], "column": [int(place[4000]), 7, 9], "n": [5, 2, 8]}), seen)
+    for row in (0, 3, 100):
+        total = np.bincount(net.cls[:5000], 10.0 ** (table[row, place] + own), attention_lm.CLASSES)
+        assert np.allclose(total[np.unique(net.cls[:5000])], 1, atol=1e-3)
+
+
 def test_lm_gradient_and_distribution():
     r = np.random.default_rng(1)
     texts = [np.array([1, *r.integers(3, 40, n), 2], np.int32) for n in (5, 30, 61)]
-    net = attention_lm.fit(texts, 50, np.arange(50) % 2 == 0, rounds=1)
+    net = attention_lm.laid_out(np.bincount(np.concatenate(texts), minlength=50), np.arange(50) % 2 == 0)
+    net.params["next"] = attention_lm.log_after(attention_lm.after_rows(net, texts))
+    net = attention_lm.trained(net, texts)
     net.params = {k: v.astype(np.float64) for k, v in net.params.items()}
     ids, then, of = net.windows(texts)
     assert (then >= 0).sum() == sum(len(x) - 1 for x in texts)  # every id is scored once
