@@ -480,7 +480,7 @@ class WindowStack(Index):
     """The window stack under the common interface."""
 
     def prepare(self, how: dict | None = None, **settings):
-        self.how = how or {}
+        self.how = {"complete": False} | (how or {})
         self.stack = Stack(self.vecs, self.codes, Settings(m=self.m, omega_c=self.omega_c, **settings)).build()
 
     def query(self, q, bounds, k, omega):

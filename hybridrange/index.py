@@ -2,15 +2,19 @@
 
 A segment is a run of consecutive values, with all rows of a value; a value with
 more rows than the cap is dealt to sub-segments that are all searched.  Building
-and searching run once for each segment; only queries and results move.
+runs once for each segment.  An index is searched as ``packed`` stores it, one row
+a segment: its bounds prune, the asked queries come to it, and only results move.
 """
 
 from __future__ import annotations
 
+from bisect import bisect_right
 from dataclasses import asdict
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
@@ -58,15 +62,53 @@ def restored(part: pd.DataFrame, settings: Settings) -> tuple[Stack, pd.DataFram
     """A stack from its stored rows."""
     part = part.sort_values("ord", ignore_index=True)
     stack = Stack(np.stack(part["vec"].to_numpy()), part["rank_u"].to_numpy(), settings)
-    stack.links = [[[int(r) for r in row[layer]] for row in part["links"]] for layer in range(len(part["links"].iloc[0]))]
+    stack.links = [[list(map(int, row[layer])) for row in part["links"]] for layer in range(len(part["links"].iloc[0]))]
     stack.deleted = part["deleted"].to_numpy(bool).copy()
-    for i, code in enumerate(part["rank_u"]):
-        stack.values.insert(int(code))
-        stack.at_value.setdefault(int(code), []).append(i)
-    stack.count = len(part)
+    known(stack, part["rank_u"].to_numpy())
     return stack, part
 
 
+def known(stack: Stack, codes: np.ndarray) -> None:
+    """Tells a stack the values of rows whose links it has, all at once where its set of values can."""
+    order = np.lexsort((np.arange(len(codes)), codes))
+    values, heads = np.unique(codes[order], return_index=True)
+    if hasattr(stack.values, "fill"):
+        stack.values.fill(values.tolist())
+    else:
+        for v in values.tolist():
+            stack.values.insert(v)
+    stack.at_value = {v: x.tolist() for v, x in zip(values.tolist(), np.split(order, heads[1:]), strict=True)}
+    stack.count = len(codes)
+
+
+PACKED = ("seg", "sub", "attr_lo", "attr_hi", "n_rows", "payload")
+
+
+def packed(index: DataFrame) -> DataFrame:
+    """(seg, sub, attr_lo, attr_hi, n_rows, payload): one row a segment, its rows in Arrow's own format."""
+    of = {f.name: f for f in index.schema.fields}
+    schema = T.StructType([of["seg"], of["sub"], T.StructField("attr_lo", of["attr"].dataType), T.StructField("attr_hi", of["attr"].dataType), T.StructField("n_rows", T.LongType()), T.StructField("payload", T.BinaryType())])
+
+    def wrapped(rows: pa.Table) -> pa.Table:
+        sink = pa.BufferOutputStream()
+        with pa.ipc.new_stream(sink, rows.schema, options=pa.ipc.IpcWriteOptions(compression="lz4")) as out:
+            out.write_table(rows)
+        ends = pc.min_max(rows["attr"])
+        one = {"seg": rows["seg"][0], "sub": rows["sub"][0], "attr_lo": ends["min"], "attr_hi": ends["max"], "n_rows": len(rows), "payload": sink.getvalue().to_pybytes()}
+        return pa.table({k: pa.array([v.as_py() if isinstance(v, pa.Scalar) else v], rows.schema.field({"attr_lo": "attr", "attr_hi": "attr"}.get(k, k)).type if k in ("seg", "sub", "attr_lo", "attr_hi") else None) for k, v in one.items()})
+
+    return index.groupBy("seg", "sub").applyInArrow(wrapped, schema)
+
+
+def unpacked(payload: bytes) -> pd.DataFrame:
+    """The rows of one segment; times come without their zone, as the rows of an index are handed to Python."""
+    rows = pa.ipc.open_stream(payload).read_all()
+    at = rows.schema.get_field_index("attr")
+    if pa.types.is_timestamp(rows.schema.field(at).type):
+        rows = rows.set_column(at, "attr", rows["attr"].cast(pa.timestamp("ns")))
+    return rows.to_pandas()
+
+
 def bounds_of(values: np.ndarray, codes: np.ndarray, low, high) -> tuple[int, int] | None:
     """Codes of the first and last value within [low, high]; ``values`` ascend."""
     if values.dtype.kind == "M":
@@ -90,28 +132,61 @@ def routed(index: DataFrame, queries: DataFrame) -> DataFrame:
 PART = "qid long, id long, dist double, dc long, fc long, scanned boolean, seen long, passed long, hops array<array<int>>"
 
 
-def search(index: DataFrame, queries: DataFrame, k: int = 10, omega: int = 64, settings: Settings | None = None, **how) -> DataFrame:
-    """One row per query, segment and row found there; a query that finds nothing in a segment has a row without id."""
-    given = asdict(settings or Settings())
+def asked_of(parts: DataFrame, queries: DataFrame) -> DataFrame:
+    """``parts`` that a query's range meets, with these queries as an array: bounds prune the parts, and one row with all queries is sent to them."""
+    low, high = queries.agg(F.min("lo"), F.max("hi")).first()
+    met = parts.where((F.col("attr_hi") >= F.lit(low)) & (F.col("attr_lo") <= F.lit(high))) if low is not None and high is not None else parts
+    every = queries.where("lo <= hi").agg(F.collect_list(F.struct("qid", "qvec", "lo", "hi")).alias("every"))
+    mine = F.filter("every", lambda q: (q["lo"] <= F.col("attr_hi")) & (q["hi"] >= F.col("attr_lo")))
+    return met.crossJoin(F.broadcast(every)).withColumn("asked", mine).drop("every").where(F.size("asked") > 0)  # one row on the other side
+
+
+def search(index: DataFrame, queries: DataFrame, k: int = 10, omega: int = 64, settings: Settings | None = None, second: tuple | None = None, **how) -> DataFrame:
+    """One row per query, segment and row found there; a query that finds nothing in a segment has a row without id.
 
-    def searched(part: pd.DataFrame, asked: pd.DataFrame) -> pd.DataFrame:
-        out = []
-        if len(part) and len(asked):
-            stack, part = restored(part, Settings(**given))
-            values, codes = value_order(part)
-            ids = part["id"].to_numpy()
-            for q in asked.itertuples():
-                bounds = bounds_of(values, codes, q.lo, q.hi)
-                if bounds is None:
-                    continue
-                f = stack.query(np.asarray(q.qvec, float), bounds, k, omega, **how)
-                rows = list(zip([int(ids[r]) for r in f.rows], f.dist, strict=True)) or [(None, None)]
-                out += [(q.qid, i, d, f.dc if not n else 0, f.fc if not n else 0, f.scanned, f.in_range[1] if not n else 0, f.in_range[0] if not n else 0, [list(x) for x in f.hops] if not n else []) for n, (i, d) in enumerate(rows)]
-        frame = pd.DataFrame(out, columns=["qid", "id", "dist", "dc", "fc", "scanned", "seen", "passed", "hops"])
-        frame["id"] = frame["id"].astype("Int64")
-        return frame
-
-    return index.groupBy("seg", "sub").cogroup(routed(index, queries).groupBy("in_seg", "in_sub")).applyInPandas(searched, PART)
+    ``index`` is as ``packed`` gives it, or as built, which is packed first.  The
+    queries are a stated set; beyond QUERY_BYTES they are asked in blocks.  With
+    ``second = (column, low, high)`` rows outside these bounds are walked and not
+    returned.
+    """
+    given = asdict(settings or Settings())
+    parts = index if "payload" in index.columns else packed(index)
+
+    def searched(batches):
+        for batch in batches:
+            out = []
+            for payload, asked in zip(batch["payload"], batch["asked"], strict=True):
+                stack, part = restored(unpacked(payload), Settings(**given))
+                values, codes = value_order(part)
+                ids = part["id"].to_numpy()
+                hidden = None if second is None else ~part[second[0]].between(second[1], second[2]).to_numpy(bool)
+                for q in asked:
+                    bounds = bounds_of(values, codes, q["lo"], q["hi"])
+                    if bounds is None:
+                        continue
+                    f = stack.query(np.asarray(q["qvec"], float), bounds, k, omega, hidden=hidden, **how)
+                    rows = list(zip([int(ids[r]) for r in f.rows], f.dist, strict=True)) or [(None, None)]
+                    out += [(q["qid"], i, d, f.dc if not n else 0, f.fc if not n else 0, f.scanned, f.in_range[1] if not n else 0, f.in_range[0] if not n else 0, [list(x) for x in f.hops] if not n else []) for n, (i, d) in enumerate(rows)]
+            frame = pd.DataFrame(out, columns=["qid", "id", "dist", "dc", "fc", "scanned", "seen", "passed", "hops"])
+            frame["id"] = frame["id"].astype("Int64")
+            yield frame
+
+    found = None
+    for block in blocks(queries):
+        one = asked_of(parts, block).select("payload", "asked").mapInPandas(searched, PART)
+        found = one if found is None else found.union(one)
+    return found
+
+
+#: Bytes of a block of queries that are sent to the segments.
+QUERY_BYTES = 64 << 20
+
+
+def blocks(queries: DataFrame) -> list[DataFrame]:
+    """The queries in as few blocks by a hash of their id as their size asks for."""
+    n, wide = queries.agg(F.count("*"), F.max(F.size("qvec"))).first()
+    count = -(-n * (16 * (wide or 0) + 64) // QUERY_BYTES)
+    return [queries] if count <= 1 else [queries.where(F.pmod(F.xxhash64("qid"), F.lit(count)) == i) for i in range(count)]
 
 
 def range_knn(index: DataFrame, queries: DataFrame, k: int = 10, omega: int = 64, settings: Settings | None = None, **how) -> DataFrame:
@@ -131,6 +206,11 @@ def delete(index: DataFrame, ids: DataFrame) -> DataFrame:
     return index.join(gone, F.col("id") == F.col("_gone"), "left").withColumn("deleted", F.col("deleted") | F.col("_gone").isNotNull()).drop("_gone")
 
 
+def update(index: DataFrame, changed: DataFrame, settings: Settings | None = None) -> DataFrame:
+    """The index with the rows of ``changed`` (id, vec, attr) in place of those of the same ids: these are marked, the new ones inserted."""
+    return insert(delete(index, changed), changed, settings)
+
+
 def edges(index: DataFrame) -> DataFrame:
     """(seg, sub, layer, src, dst) of all links, by number in the segment."""
     by_layer = index.select("seg", "sub", F.col("ord").alias("src"), F.posexplode("links").alias("layer", "to"))
@@ -141,14 +221,20 @@ def insert(index: DataFrame, data: DataFrame, settings: Settings | None = None,
     """The index with the rows of ``data`` (id, vec, attr) inserted one by one into the segments they belong to.
 
     A row goes to the last segment that starts at or below its value, or to the
-    first.  Only segments that rows arrive in change; codes are renewed inside a
+    first, found by bisection of the segments' starts; of the sub-segments of a
+    common value to that which its id picks.  Only segments that rows arrive in change; codes are renewed inside a
     segment, links stay.
     """
     given = asdict(settings or Settings())
-    starts = index.groupBy(F.col("seg").alias("s"), F.col("sub").alias("b")).agg(F.min("attr").alias("start"))
-    first = starts.agg(F.min(F.struct("start", "s")).alias("f")).select(F.col("f.s").alias("s0"))
-    own = data.join(small(starts.where("b = 0"), 256), F.col("start") <= F.col("attr"), "left").groupBy("id").agg(F.max_by("s", "start").alias("s"), F.first("attr").alias("attr"), F.first("vec").alias("vec"))
-    routed_rows = own.crossJoin(F.broadcast(first)).select(F.coalesce("s", "s0").alias("in_seg"), F.lit(0).alias("in_sub"), "id", "attr", "vec")  # one row on the other side
+    starts = index.groupBy(F.col("seg").alias("in_seg")).agg(F.min("attr").alias("start"), (F.max("sub") + 1).alias("n")).orderBy("start").collect()  # one row a segment
+    first, own, subs = [r["start"] for r in starts], [r["in_seg"] for r in starts], [r["n"] for r in starts]
+
+    @F.pandas_udf("in_seg long, n int")
+    def home(attr: pd.Series) -> pd.DataFrame:
+        at = [max(0, bisect_right(first, x.to_pydatetime() if isinstance(x, pd.Timestamp) else x) - 1) for x in attr]
+        return pd.DataFrame({"in_seg": [own[i] for i in at], "n": [subs[i] for i in at]})
+
+    routed_rows = data.where("attr is not null").withColumn("home", home("attr")).select("home.in_seg", F.pmod(F.xxhash64("id"), F.col("home.n")).cast("int").alias("in_sub"), "id", "attr", "vec")
     schema = index.schema
 
     def grown(part: pd.DataFrame, new: pd.DataFrame) -> pd.DataFrame:
@@ -162,10 +248,7 @@ def insert(index: DataFrame, data: DataFrame, settings: Settings | None = None,
         stack = Stack(np.stack(both["vec"].to_numpy()), codes, Settings(**given))
         stack.links = [[[int(r) for r in row[layer]] for row in old["links"]] for layer in range(len(old["links"].iloc[0]))]
         stack.deleted[: len(old)] = old["deleted"].to_numpy(bool)
-        for i in range(len(old)):
-            stack.values.insert(int(codes[i]))
-            stack.at_value.setdefault(int(codes[i]), []).append(i)
-        stack.count = len(old)
+        known(stack, codes[: len(old)])
         places = np.arange(len(old), len(both))
         ids = both["id"].to_numpy()[places].astype(np.uint64)
         key = codes[places] if order == "sorted" else (ids * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(20)
@@ -173,6 +256,7 @@ def insert(index: DataFrame, data: DataFrame, settings: Settings | None = None,
         turn = np.concatenate([np.arange(len(old)), places[np.lexsort((ids, key))]])
         both = both.iloc[turn].reset_index(drop=True)
         stack.vecs, stack.codes, stack.deleted = stack.vecs[turn], stack.codes[turn], stack.deleted[turn]
+        stack.code_of = stack.codes.tolist()
         for row in range(len(old), len(both)):
             stack.insert(row)
         both["ord"] = np.arange(len(both), dtype=np.int32)

@@ -21,6 +21,10 @@ class SortedArray:
         insort(self.values, value)
         return True
 
+    def fill(self, ordered: list) -> None:
+        """Takes values that are in order and distinct, in place of those held."""
+        self.values = list(ordered)
+
     def __contains__(self, value) -> bool:
         i = bisect_left(self.values, value)
         return i < len(self.values) and self.values[i] == value

@@ -51,19 +51,28 @@ def far(vecs: np.ndarray, rows, q: np.ndarray) -> np.ndarray:
     return np.sqrt(np.einsum("ij,ij->i", d, d))
 
 
-def diverse(vecs: np.ndarray, dist: np.ndarray, rows: list[int], cap: int, prune: bool = True) -> list[int]:
+def diverse(vecs: np.ndarray, dist: list[float], rows: list[int], cap: int, prune: bool = True) -> list[int]:
     """Of rows in order of distance to a target, those not nearer to a kept row than to the target, up to ``cap``."""
-    if not prune:
+    if not prune or len(rows) < 2:
         return rows[:cap]
-    kept: list[int] = []
-    for r, d in zip(rows, dist, strict=True):
-        if len(kept) == cap:
-            break
-        if not kept or far(vecs, kept, vecs[r]).min() >= d:
+    x, d = vecs[rows], np.asarray(dist)
+    size = np.einsum("ij,ij->i", x, x)
+    # every distance between two candidates at once; what rounding leaves below zero is a copy
+    near = np.sqrt(np.maximum(size[:, None] + size[None, :] - 2 * (x @ x.T), 0)) < d[None, :] * (1 - 1e-12)
+    barred, kept = np.zeros(len(rows), bool), []
+    for i, r in enumerate(rows):
+        if not barred[i]:
             kept.append(r)
+            if len(kept) == cap:
+                break
+            barred |= near[i]
     return kept
 
 
+#: Rows of a stack up to which an insertion takes all its distances at once.
+AT_ONCE = 8_192
+
+
 class Stack:
     def __init__(self, vecs: np.ndarray, codes: np.ndarray, settings: Settings | None = None):
         self.s = settings or Settings()
@@ -73,6 +82,8 @@ class Stack:
         self.at_value: dict[int, list[int]] = {}
         self.deleted = np.zeros(len(self.vecs), bool)
         self.count = 0
+        self.code_of: list[int] = self.codes.tolist()
+        self.ordered: tuple[tuple, np.ndarray] | None = None
 
     @property
     def top(self) -> int:
@@ -102,13 +113,14 @@ class Stack:
             while len(layer) <= row:
                 layer.append([])
         pool: dict[int, float] = {}
+        known = far(self.vecs, slice(0, len(self.links[0])), q).tolist() if len(self.links[0]) <= AT_ONCE else None
         for l in range(self.top, -1, -1):
             bounds = self.window(code, l)
             if bounds is None:
                 continue
-            pool = {r: d for r, d in pool.items() if bounds[0] <= self.codes[r] <= bounds[1]}
+            pool = {r: d for r, d in pool.items() if bounds[0] <= self.code_of[r] <= bounds[1]}
             if not (s.carry_over and len(pool) > s.m):
-                found = self.beam(self.entry(bounds, row + l), q, bounds, l, self.top, s.omega_c, skip=row)
+                found = self.beam(self.entry(bounds, row + l), q, bounds, l, self.top, s.omega_c, skip=row, known=known)
                 pool |= dict(zip(found.rows, found.dist, strict=True))
             near = sorted(pool, key=lambda r: (pool[r], r))
             chosen = diverse(self.vecs, [pool[r] for r in near], near, s.m // 2, s.diverse)
@@ -125,7 +137,7 @@ class Stack:
             mine.append(row)
             return
         bounds = self.window(int(self.codes[b]), l)
-        rest = [r for r in mine if bounds[0] <= self.codes[r] <= bounds[1] and not self.deleted[r]]
+        rest = [r for r in mine if bounds[0] <= self.code_of[r] <= bounds[1] and not self.deleted[r]]
         if len(rest) < s.m and not s.lazy:
             self.links[l][b] = [*rest, row]
             return
@@ -138,12 +150,19 @@ class Stack:
             self.insert(int(row))
         return self
 
-    def beam(self, entry: int, q: np.ndarray, bounds: tuple[int, int], low: int, high: int, omega: int, early_stop: bool = True, budget: int | None = None, trace: bool = False, skip: int = -1) -> Found:
-        """Nearest rows within ``bounds``, at most ``omega``, over layers ``high`` down to ``low``; never ``skip``, a row that is being linked."""
-        budget, codes, links, deleted = budget or self.s.m, self.codes, self.links, self.deleted
+    def beam(self, entry: int, q: np.ndarray, bounds: tuple[int, int], low: int, high: int, omega: int, early_stop: bool = True, budget: int | None = None, trace: bool = False, skip: int = -1, known: list[float] | None = None, hidden: np.ndarray | None = None) -> Found:
+        """Nearest rows within ``bounds``, at most ``omega``, over layers ``high`` down to ``low``.
+
+        Never ``skip``, a row that is being linked; ``known`` holds distances that
+        were taken before; ``hidden`` rows are walked and not returned, as deleted
+        ones are.  A hop takes at most ``budget`` new rows, ``m`` if not given.
+        """
+        budget, codes, links = budget or self.s.m, self.code_of, self.links
+        deleted = self.deleted if hidden is None else self.deleted | hidden
+        gone = deleted.any()
         a, b = bounds
         seen = {entry, skip}
-        d0 = float(far(self.vecs, [entry], q)[0])
+        d0 = known[entry] if known else float(far(self.vecs, [entry], q)[0])
         out, best, todo = Found(dc=1), [], [(d0, entry)]
         if not deleted[entry]:
             best.append((-d0, -entry))
@@ -172,10 +191,10 @@ class Stack:
                 out.hops.append((l + 1, high))
             if fresh:
                 out.dc += len(fresh)
-                for x, r in zip(far(self.vecs, fresh, q).tolist(), fresh, strict=True):
+                for x, r in zip([known[r] for r in fresh] if known else far(self.vecs, fresh, q).tolist(), fresh, strict=True):
                     if len(best) < omega or x < -best[0][0]:
                         heapq.heappush(todo, (x, r))
-                        if not deleted[r]:
+                        if not (gone and deleted[r]):
                             heapq.heappush(best, (-x, -r))
                             if len(best) > omega:
                                 heapq.heappop(best)
@@ -183,34 +202,61 @@ class Stack:
         out.rows, out.dist = [r for _, r in ranked], [x for x, _ in ranked]
         return out
 
+    def sorted_rows(self) -> tuple[np.ndarray, np.ndarray]:
+        """Codes in order and their rows, renewed when rows have arrived."""
+        if self.ordered is None or self.ordered[0] != self.count:
+            c = self.codes[: len(self.links[0])]
+            order = np.lexsort((np.arange(len(c)), c))
+            self.ordered = (self.count, (c[order], order))
+        return self.ordered[1]
+
     def in_range(self, bounds: tuple[int, int]) -> np.ndarray:
-        c = self.codes[: len(self.links[0])] if self.links[0] else self.codes[:0]
-        return np.flatnonzero((c >= bounds[0]) & (c <= bounds[1]))
+        codes, rows = self.sorted_rows()
+        a, b = np.searchsorted(codes, bounds[0], "left"), np.searchsorted(codes, bounds[1], "right")
+        return rows[a:b]
 
-    def scan(self, q: np.ndarray, bounds: tuple[int, int], k: int) -> Found:
+    def scan(self, q: np.ndarray, bounds: tuple[int, int], k: int, hidden: np.ndarray | None = None) -> Found:
         rows = self.in_range(bounds)
-        rows = rows[~self.deleted[rows]]
+        rows = rows[~(self.deleted[rows] if hidden is None else self.deleted[rows] | hidden[rows])]
         d = far(self.vecs, rows, q) if len(rows) else np.empty(0)
         order = np.lexsort((rows, d))[:k]
         return Found(rows[order].tolist(), d[order].tolist(), len(rows), 0, scanned=True)
 
-    def query(self, q: np.ndarray, bounds: tuple[int, int], k: int = 10, omega: int = 64, early_stop: bool = True, landing: int | str = "auto", scan_cap: int = 0, trace: bool = False) -> Found:
-        """The k nearest rows within closed bounds; a range that the graph does not exhaust is scanned instead."""
+    def landing(self, bounds: tuple[int, int], inside: int, how: int | str) -> int:
+        """The layer to start from: the one that fits the range, the top, a given one, or the one that fits an estimate from 64 cut points."""
+        if how == "top":
+            return self.top
+        if isinstance(how, int):
+            return max(0, min(how, self.top))
+        if how == "estimate":
+            n = len(self.values)
+            cuts = [self.values.select(i * (n - 1) // 64) for i in range(65)]
+            inside = max(1, sum(bounds[0] <= c <= bounds[1] for c in cuts) * n // 65)
+        return landing_layer(inside, self.s.o, self.top)
+
+    def query(self, q: np.ndarray, bounds: tuple[int, int], k: int = 10, omega: int = 64, early_stop: bool = True, landing: int | str = "auto", scan_cap: int = 0, trace: bool = False, complete: bool = True, budget: int | None = None, hidden: np.ndarray | None = None) -> Found:
+        """The k nearest rows within closed bounds.
+
+        A range of at most ``scan_cap`` rows is scanned.  With ``complete``, an
+        addition to the published method that the experiments switch off, so is one
+        of which the beam returns fewer rows than it holds, up to k; the result says
+        whether it was ``scanned``.
+        """
         inside = self.values.count(*bounds)
         if inside <= 0:
             return Found()
-        n = len(self.in_range(bounds))
+        codes, _ = self.sorted_rows()
+        n = int(np.searchsorted(codes, bounds[1], "right") - np.searchsorted(codes, bounds[0], "left"))
         if n <= scan_cap:
-            return self.scan(q, bounds, k)
-        top = self.top if landing == "top" else max(0, min(landing, self.top)) if isinstance(landing, int) else landing_layer(inside, self.s.o, self.top)
+            return self.scan(q, bounds, k, hidden)
         middle = self.values.select(self.values.rank(bounds[0]) + (inside - 1) // 2)
-        found = self.beam(self.at_value[middle][0], np.asarray(q, float), bounds, 0, top, max(omega, k), early_stop, trace=trace)
-        alive = n - int(self.deleted[self.in_range(bounds)].sum()) if self.deleted.any() else n
-        if len(found.rows) < min(k, alive):
-            again = self.scan(q, bounds, k)
-            again.dc += found.dc
-            again.fc, again.hops = found.fc, found.hops
-            return again
+        found = self.beam(self.at_value[middle][0], np.asarray(q, float), bounds, 0, self.landing(bounds, inside, landing), max(omega, k), early_stop, budget, trace, hidden=hidden)
+        if complete and len(found.rows) < min(k, n):
+            again = self.scan(q, bounds, k, hidden)
+            if len(again.rows) > len(found.rows):
+                again.dc += found.dc
+                again.fc, again.hops = found.fc, found.hops
+                return again
         found.rows, found.dist = found.rows[:k], found.dist[:k]
         return found
 

@@ -55,6 +55,11 @@ def built(spark: SparkSession, sf_dir: str, name: str = "rand", order: str = "sh
     return held(spark, (sf_dir, name, "index", order, cap, json.dumps(settings, sort_keys=True)), lambda: index.build_index(hybrid(spark, sf_dir, name), Settings(**settings), order, cap))
 
 
+def packed(spark: SparkSession, sf_dir: str, *how, **settings) -> DataFrame:
+    """The built index as it is searched."""
+    return held(spark, (sf_dir, "packed", how, json.dumps(settings, sort_keys=True)), lambda: index.packed(built(spark, sf_dir, *how, **settings)))
+
+
 # Exact search ------------------------------------------------------------
 
 
@@ -197,7 +202,7 @@ LEAST = 0.95
 def stack_query(key: str, name: str = "rand", order: str = "shuffled", cap: int = index.CAP, settings: dict | None = None, least: float = LEAST, k: int = K, **how) -> None:
     def ask(spark, sf_dir):
         data, q = asked(spark, sf_dir, name)
-        found = index.range_knn(built(spark, sf_dir, name, order, cap, **(settings or {})), q, k, settings=Settings(**(settings or {})), **how)
+        found = index.range_knn(packed(spark, sf_dir, name, order, cap, **(settings or {})), q, k, settings=Settings(**(settings or {})), **how)
         return per_query(found, data, q, truth_of(spark, sf_dir, name, k), least, k)
 
     query(key, full_sql(name, k))(ask)
@@ -227,13 +232,13 @@ stack_query("range_knn_k50", k=50, omega=128)
 
 @query("range_knn_small_ranges", exact_sql("rand", fixed=9))
 def _(spark, sf_dir):
-    return index.range_knn(built(spark, sf_dir), asked(spark, sf_dir, fixed=9)[1], K, scan_cap=64)
+    return index.range_knn(packed(spark, sf_dir), asked(spark, sf_dir, fixed=9)[1], K, scan_cap=64)
 
 
 @query("range_knn_wide", exact_sql("rand"))
 def _(spark, sf_dir):
     """A beam as wide as the data is exact."""
-    return index.range_knn(built(spark, sf_dir), asked(spark, sf_dir)[1], K, 512)
+    return index.range_knn(packed(spark, sf_dir), asked(spark, sf_dir)[1], K, 512)
 
 
 @query("range_knn_level_sync", f"WITH {ranges_sql('rand')} SELECT qid, true AS in_range, true AS size_ok, true AS recall_ok FROM q")
@@ -293,14 +298,16 @@ def _(spark, sf_dir):
 
 @query("dc_fc_counts", f"WITH {ranges_sql('rand')} SELECT qid, true AS dc_ok, true AS fc_ok FROM q")
 def _(spark, sf_dir):
-    found = index.costs(index.search(built(spark, sf_dir), asked(spark, sf_dir)[1], K))
-    return found.select("qid", (F.col("dc") >= 1).alias("dc_ok"), (F.col("fc") >= 0).alias("fc_ok"))
+    n = hybrid(spark, sf_dir, "rand").count()
+    found = index.costs(index.search(packed(spark, sf_dir), asked(spark, sf_dir)[1], K, complete=False))
+    # a beam takes each distance once, and checks at least the links it takes distances by
+    return found.select("qid", F.col("dc").between(1, n).alias("dc_ok"), (F.col("fc") >= F.col("dc") - 1).alias("fc_ok"))
 
 
 @query("layer_footprint")
 def _(spark, sf_dir):
     """(qid, hop, l_min, l_max): layers seen by the first 400 hops of every range of a sixteenth."""
-    found = index.search(built(spark, sf_dir), asked(spark, sf_dir, fixed=4)[1], K, trace=True)
+    found = index.search(packed(spark, sf_dir), asked(spark, sf_dir, fixed=4)[1], K, trace=True, complete=False)
     hops = found.select("qid", F.posexplode("hops").alias("hop", "layers")).where("hop < 400")
     return hops.select("qid", "hop", F.get("layers", F.lit(0)).alias("l_min"), F.get("layers", F.lit(1)).alias("l_max"))
 
@@ -308,7 +315,7 @@ def _(spark, sf_dir):
 @query("early_stop_saving", "SELECT true AS saves_distances, true AS saves_checks")
 def _(spark, sf_dir):
     q = asked(spark, sf_dir)[1]
-    on, off = (index.costs(index.search(built(spark, sf_dir), q, K, early_stop=x)).agg(F.sum("dc").alias("dc"), F.sum("fc").alias("fc")) for x in (True, False))
+    on, off = (index.costs(index.search(packed(spark, sf_dir), q, K, early_stop=x, complete=False)).agg(F.sum("dc").alias("dc"), F.sum("fc").alias("fc")) for x in (True, False))
     both = on.crossJoin(off.withColumnsRenamed({"dc": "dc2", "fc": "fc2"}))  # one row each
     return both.select((F.col("dc") <= F.col("dc2")).alias("saves_distances"), (F.col("fc") <= F.col("fc2")).alias("saves_checks"))
 
@@ -317,7 +324,7 @@ def _(spark, sf_dir):
 def _(spark, sf_dir):
     """(f_exp, share): part of the landing layer's checked neighbours that are in range."""
     data, q = asked(spark, sf_dir)
-    found = index.search(built(spark, sf_dir), q, K).groupBy("qid").agg(F.sum("seen").alias("seen"), F.sum("passed").alias("passed"))
+    found = index.search(packed(spark, sf_dir), q, K, complete=False).groupBy("qid").agg(F.sum("seen").alias("seen"), F.sum("passed").alias("passed"))
     return found.join(q.select("qid", "f_exp"), "qid").groupBy("f_exp").agg(F.round(F.sum("passed") / F.greatest(F.lit(1), F.sum("seen")), 4).alias("share"))
 
 
