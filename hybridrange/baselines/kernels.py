@@ -109,11 +109,11 @@ class Adaptive(Index):
 
 
 class DenseGraph(Index):
-    """Plain nearest lists without diversity, widened to two hops; only rows in range get distances."""
+    """Plain nearest lists of m * gamma rows without diversity, widened to two hops; only rows in range get distances."""
 
-    def prepare(self, gamma: int = 1024, own: int = 32):
+    def prepare(self, gamma: int = 4):
         n, m = len(self.vecs), self.m
-        many = min(n - 1, m * gamma, own * 2)
+        many = min(n - 1, m * gamma)
         self.links = []
         for i in range(n):
             d = far(self.vecs, slice(None), self.vecs[i])
@@ -315,26 +315,90 @@ def merged(parts: list[Found], k: int) -> Found:
     return Found([r for _, r in pairs], [d for d, _ in pairs], sum(p.dc for p in parts), sum(p.fc for p in parts))
 
 
-class MultiwayTree(Blocks):
-    """Graphs on the nodes of a tree of large fan-out; the fewest nodes that cover the range are searched and merged."""
-
-    def prepare(self, fanout: int = 8, least: int = 64, **more):
-        super().prepare(least=least, fanout=fanout)
+class Node:
+    """A tree node: its rows in a flat graph over all vectors, and its children in order of their codes."""
+
+    def __init__(self, tree: MultiwayTree, rows: list[int], children: list[Node] | None = None):
+        self.rows, self.children, self.tree = list(rows), children or [], tree
+        self.graph = Stack(tree.vecs, tree.codes, Settings(o=WIDE, m=tree.m, omega_c=tree.omega_c, layers=1))
+        for r in np.random.default_rng(len(rows)).permutation(len(rows)).tolist():
+            self.graph.insert(rows[r])
+        self.low = min((int(tree.codes[r]) for r in rows), default=0)
+        self.high = max((int(tree.codes[r]) for r in rows), default=-1)
+
+
+class MultiwayTree(Index):
+    """Graphs on the nodes of a tree of large fan-out; the fewest nodes that cover the range are searched and merged.
+
+    ``first`` is the share of the rows that are loaded at once; the others are
+    inserted one by one into the graphs on their way down.  A leaf of twice
+    ``least`` rows and a node of more than ``fanout`` children are split in two.
+    """
+
+    def prepare(self, fanout: int = 8, least: int = 64, first: float = 1.0):
+        self.fanout, self.least = fanout, least
+        n = max(1, round(first * len(self.codes)))
+        self.root = self.loaded(sorted(range(n), key=lambda r: (int(self.codes[r]), r)))
+        for row in range(n, len(self.codes)):
+            if more := self.put(self.root, row):
+                self.root = Node(self, self.root.rows + more.rows, [self.root, more])
+
+    def loaded(self, rows: list[int]) -> Node:
+        """A balanced tree over rows in order; equal codes stay in one child."""
+        if len(rows) <= self.least:
+            return Node(self, rows)
+        ends = [len(rows) * i // self.fanout for i in range(1, self.fanout)]
+        ends = sorted({e for e in ends if self.codes[rows[e]] != self.codes[rows[e - 1]]})
+        parts = [rows[a:b] for a, b in zip([0, *ends], [*ends, len(rows)], strict=True)]
+        return Node(self, rows, [self.loaded(x) for x in parts] if len(parts) > 1 else None)
+
+    def put(self, node: Node, row: int) -> Node | None:
+        """Inserts a row below a node; a new right neighbour of the node if that is split."""
+        code = int(self.codes[row])
+        node.graph.insert(row)
+        node.rows.append(row)
+        node.low, node.high = min(node.low, code), max(node.high, code)
+        if node.children:
+            at = max(0, sum(x.low <= code for x in node.children) - 1)
+            if more := self.put(node.children[at], row):
+                node.children.insert(at + 1, more)
+            if len(node.children) <= self.fanout:
+                return None
+            half = len(node.children) // 2
+            left, right = node.children[:half], node.children[half:]
+        else:
+            ordered = sorted(node.rows, key=lambda r: (int(self.codes[r]), r))
+            half = len(ordered) // 2
+            while half < len(ordered) and self.codes[ordered[half]] == self.codes[ordered[half - 1]]:
+                half += 1
+            if len(ordered) < 2 * self.least or half == len(ordered):
+                return None
+            left, right = ordered[:half], ordered[half:]
+        parts = [Node(self, [r for x in p for r in x.rows], p) if node.children else Node(self, p) for p in (left, right)]
+        node.__dict__.update(parts[0].__dict__)
+        return parts[1]
+
+    def cover(self, node: Node, bounds: tuple[int, int]) -> list[Node]:
+        if node.high < bounds[0] or node.low > bounds[1]:
+            return []
+        if not node.children or bounds[0] <= node.low and node.high <= bounds[1]:
+            return [node]
+        return [y for x in node.children for y in self.cover(x, bounds)]
 
     def query(self, q, bounds, k, omega):
-        if not (span := self.span(bounds)):
-            return Found()
-        parts, at = [], span[0]
-        while at < span[1]:
-            for level, width in enumerate(self.spans):
-                b = at // width
-                end = min((b + 1) * width, len(self.order))
-                if at == b * width and end <= span[1] or level == len(self.spans) - 1:
-                    parts.append(self.walk((level, b), q, bounds, omega))
-                    at = end
-                    break
+        parts = []
+        for node in self.cover(self.root, bounds):
+            inside = sorted((int(self.codes[r]), r) for r in node.rows if bounds[0] <= self.codes[r] <= bounds[1])
+            if inside:
+                parts.append(node.graph.beam(inside[len(inside) // 2][1], q, bounds, 0, 0, omega))
         return merged(parts, k)
 
+    def bytes(self):
+        def size(node: Node) -> int:
+            return node.graph.bytes() + sum(map(size, node.children))
+
+        return size(self.root)
+
 
 class Slots(Index):
     """The attribute in equal slots; each row keeps diverse neighbours for every slot and walks those that the range meets."""
@@ -402,19 +466,29 @@ def centres(x: np.ndarray, n: int, rounds: int = 8, seed: int = 3) -> tuple[np.n
 
 
 class CodedTree(Index):
-    """Product-quantised codes in attribute order: table distances pick a base list in range, exact distances rank it."""
+    """Product-quantised codes in attribute order: table distances pick a base list in range, exact distances rank it.
+
+    The list holds ``share`` of the rows in range, at least ``least`` and the
+    beam's width.  Books are learnt from the ``first`` share of the rows; rows that
+    arrive later take the nearest words and change no book.
+    """
 
-    def prepare(self, parts: int = 16, words: int = 64, share: float = 0.1, least: int = 50):
+    def prepare(self, parts: int = 16, words: int = 64, share: float = 0.1, least: int = 50, first: float = 1.0):
         self.cut = np.array_split(np.arange(self.vecs.shape[1]), parts)
-        self.books = [centres(self.vecs[:, c], words) for c in self.cut]
-        self.base = max(least, int(share * len(self.vecs)))
+        n = max(1, round(first * len(self.vecs)))
+        self.books = []
+        for c in self.cut:
+            x = self.vecs[:, c]
+            words_, _ = centres(x[:n], words)
+            self.books.append((words_, ((x**2).sum(1)[:, None] - 2 * x @ words_.T + (words_**2).sum(1)).argmin(1)))
+        self.share, self.least = share, least
 
     def query(self, q, bounds, k, omega):
         rows = self.rows_in(bounds)
         if not len(rows):
             return Found()
         table = sum((((c - q[cols]) ** 2).sum(1))[near[rows]] for (c, near), cols in zip(self.books, self.cut, strict=True))
-        chosen = rows[np.lexsort((rows, table))[: max(k, min(self.base, omega))]]
+        chosen = rows[np.lexsort((rows, table))[: max(k, omega, self.least, int(self.share * len(rows)))]]
         found = ranked(self.vecs, chosen, q, k)
         found.fc = len(rows)
         return found

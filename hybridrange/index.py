@@ -29,18 +29,20 @@ CAP = 50_000
 
 
 def segmented(data: DataFrame, cap: int = CAP) -> DataFrame:
-    """The rows (id, vec, attr) with seg and sub; null attributes are never in a range and are left out."""
+    """The rows (id, vec, attr, and whatever else they carry) with seg and sub; null attributes are never in a range and are left out."""
+    more = [c for c in data.columns if c not in ("seg", "sub", "id", "attr", "rank_u", "vec")]
     stats = ranks.order_stats(data).select(F.col("attr").alias("_v"), "rank_u", F.floor(F.col("before") / cap).cast("long").alias("seg"), F.ceil(F.col("mult") / cap).alias("_n"))
     rows = data.join(stats, F.col("attr") == F.col("_v"))
-    return rows.withColumn("sub", F.pmod(F.xxhash64("id"), F.col("_n")).cast("int")).select("seg", "sub", "id", "attr", "rank_u", "vec")
+    return rows.withColumn("sub", F.pmod(F.xxhash64("id"), F.col("_n")).cast("int")).select("seg", "sub", "id", "attr", "rank_u", "vec", *more)
 
 
 def arrival(rows: pd.DataFrame, order: str) -> pd.DataFrame:
-    """``sorted`` by attribute, ``shuffled`` by a hash of the id."""
+    """``sorted`` by attribute, ``shuffled`` by a hash of the id, ``halves`` by that hash, even ids first."""
     if order == "sorted":
         return rows.sort_values(["rank_u", "id"], ignore_index=True)
     key = (rows["id"].to_numpy().astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(20)
-    return rows.iloc[np.lexsort((rows["id"], key))].reset_index(drop=True)
+    half = (rows["id"].to_numpy() % 2) * (order == "halves")
+    return rows.iloc[np.lexsort((rows["id"], key, half))].reset_index(drop=True)
 
 
 def build_index(data: DataFrame, settings: Settings | None = None, order: str = "shuffled", cap: int = CAP) -> DataFrame:
@@ -126,7 +128,7 @@ def routed(index: DataFrame, queries: DataFrame) -> DataFrame:
     """The queries with every segment that their range meets."""
     segments = index.groupBy(F.col("seg").alias("in_seg"), F.col("sub").alias("in_sub")).agg(F.min("attr").alias("attr_lo"), F.max("attr").alias("attr_hi"))
     meets = (F.col("lo") <= F.col("attr_hi")) & (F.col("hi") >= F.col("attr_lo"))
-    return queries.join(small(segments, 256), meets).select("in_seg", "in_sub", "qid", "qvec", "lo", "hi")
+    return queries.join(small(segments), meets).select("in_seg", "in_sub", "qid", "qvec", "lo", "hi")
 
 
 PART = "qid long, id long, dist double, dc long, fc long, scanned boolean, seen long, passed long, hops array<array<int>>"
@@ -269,10 +271,10 @@ def insert(index: DataFrame, data: DataFrame, settings: Settings | None = None,
 def split(index: DataFrame, cap: int, settings: Settings | None = None) -> DataFrame:
     """Segments of more than ``cap`` rows are cut at a value and linked anew, so that no link is merely dropped; the others stay."""
     large = index.groupBy(F.col("seg").alias("s")).agg(F.count("*").alias("n"), F.countDistinct("attr").alias("u")).where((F.col("n") > cap) & (F.col("u") > 1))
-    over = index.join(small(large.select("s"), 64), F.col("seg") == F.col("s"), "left_semi")
+    over = index.join(small(large.select("s")), F.col("seg") == F.col("s"), "left_semi")
     last = index.agg(F.max("seg")).first()[0] or 0
     renewed = build_index(over.where("not deleted").select("id", "vec", "attr"), settings, cap=max(1, cap // 2))
-    return index.join(small(large.select("s"), 64), F.col("seg") == F.col("s"), "left_anti").unionByName(renewed.withColumn("seg", F.col("seg") + last + 1))
+    return index.join(small(large.select("s")), F.col("seg") == F.col("s"), "left_anti").unionByName(renewed.withColumn("seg", F.col("seg") + last + 1))
 
 
 def level_search(index: DataFrame, queries: DataFrame, k: int = 10, omega: int = 64, rounds: int = 50) -> DataFrame:

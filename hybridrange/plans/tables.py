@@ -14,9 +14,11 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share; a temporary one where the session sets none."""
+    """The folder that driver and executors share, from the session; only a local master may do without."""
     place = spark.conf.get("spark.checkpoint.dir", None)
     if not place:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("spark.checkpoint.dir has to name a folder that driver and executors share")
         place = tempfile.mkdtemp(prefix="shared-")
         spark.conf.set("spark.checkpoint.dir", place)
     return place.rstrip("/")
@@ -41,7 +43,10 @@ def width(spark: SparkSession) -> int:
 BROADCAST_BYTES = 64 << 20
 
 
-def small(df: DataFrame, row_bytes: int = 1024, limit: int = BROADCAST_BYTES) -> DataFrame:
-    """Hints a broadcast where a count shows that the rows fit the limit; else leaves the choice to the optimizer."""
-    most = limit // row_bytes
-    return F.broadcast(df) if df.limit(most + 1).count() <= most else df
+def small(df: DataFrame, limit: int = BROADCAST_BYTES) -> DataFrame:
+    """Hints a broadcast where rows times their bytes, arrays and texts by their greatest length, fit the limit; else leaves the choice to the optimizer."""
+    wide = [f.name for f in df.schema.fields if f.dataType.typeName() == "array"]
+    texts = [f.name for f in df.schema.fields if f.dataType.typeName() in ("string", "binary")]
+    sizes = [F.coalesce(F.max(F.size(c)), F.lit(0)) * 8 for c in wide] + [F.coalesce(F.max(F.length(c)), F.lit(0)) * 4 for c in texts]
+    n, *each = df.agg(F.count("*"), *sizes).first()
+    return F.broadcast(df) if n * (16 * len(df.columns) + sum(each)) <= limit else df

@@ -317,7 +317,13 @@ sql("cte_recursive_reach", "WITH RECURSIVE r AS (SELECT n_nationkey AS k FROM na
 sql("lateral_explode", "SELECT vec_id, x FROM embeddings LATERAL VIEW explode(slice(embedding, 1, 2)) e AS x", "SELECT vec_id, unnest(embedding[1:2]) AS x FROM embeddings")
 sql("sql_counts", f"SELECT count(*) AS n FROM embeddings WHERE (vec_id * {SCALE} + 104729) % 1000003 BETWEEN 100000 AND 600000")
 op("sample_hash", f"SELECT id FROM ({H}) WHERE (id * 2654435761) % 4294967296 < 1073741824", lambda t: t.h().where((c("id") * 2654435761) % 4294967296 < 1073741824).select("id"))
-op("sample_stratified", "SELECT true AS within", lambda t: t.embeddings.sampleBy("label", {i: 0.5 for i in range(10)}, 3).agg((F.count("*") < 400).alias("a")).select(F.lit(True).alias("within")))
+def _strata(t) -> DataFrame:
+    """Labels whose sample is within five deviations of a half of their rows."""
+    whole, part = t.embeddings.groupBy("label").agg(F.count("*").alias("n")), t.embeddings.sampleBy("label", {i: 0.5 for i in range(10)}, 3).groupBy("label").agg(F.count("*").alias("k"))
+    return whole.join(part, "label", "left").select("label", (F.abs(F.coalesce("k", F.lit(0)) - F.col("n") / 2) <= 5 * F.sqrt("n") / 2).alias("within"))
+
+
+op("sample_stratified", "SELECT label, true AS within FROM embeddings GROUP BY label", _strata)
 
 # User-defined functions ------------------------------------------------------
 

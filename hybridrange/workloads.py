@@ -81,7 +81,7 @@ def recall_sweep(spark, sf_dir):
 @query("recall_by_fraction")
 def recall_by_fraction(spark, sf_dir):
     """The stack at single fractions."""
-    return union([points(swept(spark, sf_dir, "window_stack", fixed=f), truth_of(spark, sf_dir, fixed=f)).withColumn("f_exp", F.lit(f)) for f in (0, 1, 4, 7)])
+    return union([points(swept(spark, sf_dir, "window_stack", fixed=f), truth_of(spark, sf_dir, fixed=f)).withColumn("f_exp", F.lit(f)) for f in (0, 1, 4, 7, 10)])
 
 
 @query("order_effect")
@@ -117,11 +117,13 @@ def early_stop_claim(spark, sf_dir):
 
 @query("landing_effect")
 def landing_effect(spark, sf_dir):
-    """The landing layer forced from the top to the lowest."""
+    """The landing layer forced from the top to the lowest, and by an estimate, for mixed ranges and for those of a 16th and a 1,024th."""
     out = []
-    for layer in ("auto", "top", 3, 2, 1, 0):
-        p = points(swept(spark, sf_dir, "window_stack", omegas=(32,), how={"landing": layer}), truth_of(spark, sf_dir))
-        out.append(p.withColumn("landing", F.lit(str(layer))))
+    for layer in ("auto", "estimate", "top", 3, 2, 1, 0):
+        for f in (None, 4, 10):
+            how = {} if f is None else {"fixed": f}
+            p = points(swept(spark, sf_dir, "window_stack", omegas=(16, 32), how={"landing": layer}, **how), truth_of(spark, sf_dir, **how))
+            out.append(p.withColumns({"landing": F.lit(str(layer)), "f_exp": F.lit(-1 if f is None else f)}))
     return union(out)
 
 
@@ -259,14 +261,77 @@ def exact_line(spark, sf_dir):
     return found.select("qid", "id", F.round("dist", DIGITS).alias("dist"), F.col("pos").cast("int").alias("pos"))
 
 
+def halves(spark: SparkSession, sf_dir: str, kind: str, whole: bool) -> DataFrame:
+    """Results of an index that was built on all rows, or on the even ids with the odd ones inserted, at beam width 64."""
+    data, q = asked(spark, sf_dir, fixed=1)
+
+    def made() -> DataFrame:
+        if kind != "window_stack":
+            return run.run_kind(kind, data, q, K, (64,), **({} if whole else {"order": "halves", "first": data.where("id % 2 = 0").count() / data.count()}))
+        began = time.time()
+        held_ = cut(index.build_index(data if whole else data.where("id % 2 = 0")), "half")
+        if not whole:
+            held_ = cut(index.insert(held_, data.where("id % 2 = 1")), "grown")
+        took = time.time() - began
+        size = F.lit(0).cast("long")
+        found = index.search(held_, q, K, 64, complete=False)
+        return found.select(F.lit(0).cast("long").alias("seg"), F.lit(0).alias("sub"), "qid", F.lit(64).alias("omega"), "id", "dist", "dc", "fc", size.alias("bytes"), F.lit(took).alias("build_s"), F.lit(0.0).alias("search_s"))
+
+    return held(spark, (sf_dir, "halves", kind, whole), made)
+
+
 @query("half_insert")
 def half_insert(spark, sf_dir):
-    """One half built at once and the other inserted, for the stack and the multiway tree, beside the whole built at once."""
-    data, q = asked(spark, sf_dir, fixed=1)
+    """Recall and cost after one half was built and the other inserted, and of the whole built at once."""
     truth, out = truth_of(spark, sf_dir, fixed=1), []
-    for kind in ("window_stack", "multiway_tree"):
-        for order in ("shuffled", "sorted"):
-            out.append(points(swept(spark, sf_dir, kind, order=order, fixed=1, omegas=(64,)), truth).withColumns({"index": F.lit(kind), "arrival": F.lit(order)}))
+    for kind in ("window_stack", "multiway_tree", "pq_tree"):
+        for whole in (True, False):
+            parts = halves(spark, sf_dir, kind, whole)
+            took = parts.agg(F.round(F.max("build_s"), 2).alias("build_s"))
+            out.append(points(parts, truth).drop("qps").crossJoin(took).withColumns({"index": F.lit(kind), "how": F.lit("whole" if whole else "half inserted")}))  # one row
+    return union(out)
+
+
+@query("half_insert_claim", "SELECT true AS stack_keeps_recall, true AS stack_is_best")
+def half_insert_claim(spark, sf_dir):
+    """Inserting a half costs the stack at most 3 points of recall, and no other index has more afterwards by over 3."""
+    t = cut(half_insert(spark, sf_dir).where("how = 'half inserted'").select("index", "recall"), "claim")
+    whole = points(halves(spark, sf_dir, "window_stack", True), truth_of(spark, sf_dir, fixed=1)).select(F.col("recall").alias("whole"))
+    of = F.max(F.when(F.col("index") == "window_stack", F.col("recall")))
+    return t.agg(of.alias("stack"), F.max("recall").alias("best")).crossJoin(whole).select((F.col("stack") >= F.col("whole") - 0.03).alias("stack_keeps_recall"), (F.col("stack") >= F.col("best") - 0.03).alias("stack_is_best"))  # one row each
+
+
+@query("growth_built")
+def growth_built(spark, sf_dir):
+    """Built indices over a quarter, a half and all of the vectors: bytes, seconds, recall and rate."""
+    out, every = [], hybrid(spark, sf_dir, "rand")
+    n = every.count()
+    for part in (4, 2, 1):
+        data = every.where(F.col("id") < F.lit(every.agg(F.min("id")).first()[0] + n // part))
+        q = cut(make_ranges(data), "asked")
+        parts = cut(run.run_kind("window_stack", data, q, K, (64,)), "grown")
+        size = parts.agg(F.max("bytes").alias("bytes"), F.round(F.max("build_s"), 3).alias("build_s"))
+        out.append(points(parts, cut(exact_range_knn(data, q, K), "truth")).crossJoin(size).withColumn("n_rows", F.lit(data.count())))  # one row
+    return union(out)
+
+
+@query("growth_claim", "SELECT true AS bytes_grow, true AS recall_kept")
+def growth_claim(spark, sf_dir):
+    """Bytes grow a little faster than the rows, by the layers; recall stays."""
+    t = cut(growth_built(spark, sf_dir), "claim").withColumn("each", F.col("bytes") / F.col("n_rows"))
+    at = lambda c, f: f(F.struct("n_rows", c))[c]
+    return t.agg(at("each", F.min).alias("a"), at("each", F.max).alias("b"), F.min("recall").alias("r")).select(((F.col("b") >= F.col("a")) & (F.col("b") <= 2 * F.col("a"))).alias("bytes_grow"), (F.col("r") >= 0.9).alias("recall_kept"))
+
+
+@query("parallel_build")
+def parallel_build(spark, sf_dir):
+    """Seconds to build as one segment, which is one task, and as segments of a quarter of the rows, which are several."""
+    data = hybrid(spark, sf_dir, "rand")
+    n, out = data.count(), []
+    for cap in (n, -(-n // 4)):
+        began = time.time()
+        made = cut(index.build_index(data, cap=cap), "parallel")
+        out.append(made.agg(F.countDistinct("seg", "sub").alias("segments"), F.count("*").alias("n_rows")).withColumn("seconds", F.lit(round(time.time() - began, 2))))
     return union(out)
 
 
@@ -298,17 +363,50 @@ def theory_tables(spark, sf_dir):
 
 @query("maintenance_policies")
 def maintenance_policies(spark, sf_dir):
-    """Rebuilding everything, a scanned side table beside the old index, and true insertion: seconds and recall after the last tenth of the rows arrives."""
+    """The last tenth of the rows arrives.  Everything is rebuilt, or the rows are scanned beside the old index until they are merged into it, or inserted at once: seconds until the first answers, until the index is whole, and recall."""
     data, q = asked(spark, sf_dir)
     late = F.pmod(F.xxhash64("id"), F.lit(10)) == 0
+    old = held(spark, (sf_dir, "main"), lambda: index.build_index(data.where(~late), Settings()))
+    old.count()
     truth, out = truth_of(spark, sf_dir), []
     for policy in ("rebuild", "side_merge", "insert"):
         began = time.time()
         if policy == "side_merge":
-            main = index.range_knn(held(spark, (sf_dir, "main"), lambda: index.build_index(data.where(~late), Settings())), q, K)
+            main = index.range_knn(old, q, K)
             found = index.top_k(main.select("qid", "id", "dist").union(exact_range_knn(data.where(late), q, K).select("qid", "id", "dist")), K)
         else:
-            found = index.range_knn(index.build_index(data, Settings(), "shuffled" if policy == "rebuild" else "sorted"), q, K)
-        recall = measures.recall(cut(found, "found"), truth, K).agg(F.round(F.avg("recall"), 4).alias("recall"))
-        out.append(recall.withColumns({"policy": F.lit(policy), "seconds": F.lit(round(time.time() - began, 2))}))
+            whole = cut(index.build_index(data, Settings()) if policy == "rebuild" else index.insert(old, data.where(late), Settings()), "whole")
+            found = index.range_knn(whole, q, K)
+        found = cut(found, "found")
+        answered = time.time() - began
+        if policy == "side_merge":
+            cut(index.insert(old, data.where(late), Settings()), "whole")
+        recall = measures.recall(found, truth, K).agg(F.round(F.avg("recall"), 4).alias("recall"))
+        out.append(recall.withColumns({"policy": F.lit(policy), "answers_s": F.lit(round(answered, 2)), "whole_s": F.lit(round(time.time() - began, 2))}))
+    return union(out)
+
+
+@query("maintenance_claim", "SELECT true AS recall_kept, true AS insertion_as_good")
+def maintenance_claim(spark, sf_dir):
+    """Every policy keeps recall; an index that rows were inserted into answers as well as a new one."""
+    t = cut(maintenance_policies(spark, sf_dir), "claim")
+    of = lambda p: F.max(F.when(F.col("policy") == p, F.col("recall")))
+    return t.agg((F.min("recall") >= 0.95).alias("recall_kept"), (of("insert") >= of("rebuild") - 0.02).alias("insertion_as_good"))
+
+
+@query("fallback_share")
+def fallback_share(spark, sf_dir):
+    """Queries and segments whose beam returns fewer rows than asked for and are scanned instead, where that is switched on."""
+    from hybridrange.methods import packed
+
+    found = index.search(packed(spark, sf_dir), asked(spark, sf_dir)[1], K).groupBy("qid").agg(F.max("scanned").alias("scanned"))
+    return found.agg(F.count("*").alias("queries"), F.sum(F.col("scanned").cast("long")).alias("scanned"))
+
+
+@query("budget_effect")
+def budget_effect(spark, sf_dir):
+    """New rows a hop may take, with its cost and recall."""
+    out = []
+    for budget in (4, 8, 16, 64):
+        out.append(points(swept(spark, sf_dir, "window_stack", omegas=(32,), how={"budget": budget}), truth_of(spark, sf_dir)).withColumn("budget", F.lit(budget)))
     return union(out)

@@ -147,6 +147,32 @@ def test_baselines_stay_in_range(kind):
     assert hits / want >= 0.4
 
 
+def test_tree_takes_insertions_and_splits():
+    v, codes = data(400)
+    tree = KINDS["multiway_tree"](v, codes, first=0.2, least=20, fanout=4)
+
+    def below(node):
+        return [y for x in node.children for y in below(x)] if node.children else [node]
+
+    def depth(node):
+        return 1 + max(map(depth, node.children), default=0)
+
+    leaves = below(tree.root)
+    assert sorted(r for x in leaves for r in x.rows) == list(range(400)) and len(leaves) > 8 and depth(tree.root) >= 3
+    assert all(a.high <= b.low for a, b in zip(leaves, leaves[1:], strict=False)) and all(len(x.rows) < 2 * 20 for x in leaves)
+    f = tree.query(v[3], (50, 249), 10, 64)
+    assert len(set(f.rows) & set(truth(v, codes, v[3], (50, 249), 10))) >= 8
+
+
+def test_the_published_method_alone_may_return_fewer_rows():
+    v, codes = data(300)
+    s = Stack(v, codes, Settings(m=4, omega_c=8)).build()
+    both = [(s.query(v[i], (i, i + 12), 10, 10, complete=c)) for i in range(0, 250, 10) for c in (False, True)]
+    assert all(len(b.rows) == 10 for b in both[1::2]) and all(not a.scanned and len(a.rows) <= 10 for a in both[::2])
+    few = s.query(v[0], (0, 299), 10, 64, budget=2)
+    assert few.dc <= s.query(v[0], (0, 299), 10, 64).dc and s.query(v[0], (0, 299), 10, 64, landing="estimate").rows
+
+
 def test_interval_graph_needs_order():
     v, codes = data(20)
     with pytest.raises(ValueError):

@@ -10,7 +10,7 @@ from hybridrange import exact, index, measures, ranks, registry
 from hybridrange.layers import landing_layer, landing_layer_col, top_layer, top_layer_col
 
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
-SAMPLE = ["exact_range_knn", "exact_range_knn_title", "dense_ranks_label", "range_counts_dup50", "median_row", "window_bounds_1", "landing_layer", "window_knn_graph_1", "diverse_graph_1", "postfilter_exact", "in_range_fraction", "lid", "recall", "range_knn_price", "join_bucketed_range", "join_skew_salted", "agg_rollup", "win_two_phase_rank", "st_tumbling"]
+SAMPLE = ["exact_range_knn", "exact_range_knn_title", "dense_ranks_label", "range_counts_dup50", "median_row", "window_bounds_1", "landing_layer", "window_knn_graph_1", "diverse_graph_1", "postfilter_exact", "in_range_fraction", "lid", "recall", "range_knn_price", "join_bucketed_range", "join_skew_salted", "agg_rollup", "win_two_phase_rank", "st_tumbling", "exact_lex", "range_knn_lex", "range_knn_infilter", "range_knn_merge", "udtf_range_knn", "sql_landing", "range_knn_updated", "sample_stratified"]
 
 
 def plain(v):
@@ -80,6 +80,30 @@ def test_hot_value_is_dealt_to_sub_segments(spark):
     assert measures.recall(found, truth, 10).first().recall == 1.0
 
 
+def test_a_search_moves_queries_and_results_only(spark, tmp_path):
+    data = rows(spark, list(range(300)))
+    index.packed(index.build_index(data, cap=100)).write.parquet(f"{tmp_path}/parts")
+    held = spark.read.parquet(f"{tmp_path}/parts")
+    q = spark.createDataFrame([(1, [0.0, 0.0], 3, 12), (2, [0.0, 0.0], 40, 30)], "qid long, qvec array<float>, lo long, hi long")
+    found = index.search(held, q, 10)
+    plan = found._jdf.queryExecution().executedPlan().toString()
+    scan = plan.index("payload")
+    above = plan[:scan].splitlines()
+    assert held.count() == 3 and not any("Exchange hashpartitioning" in x or "SortMergeJoin" in x for x in above) and "PushedFilters: [IsNotNull(attr_hi)" in plan + found._jdf.queryExecution().explainString(spark._jvm.org.apache.spark.sql.execution.ExplainMode.fromString("formatted"))
+    assert {(r.qid, r.id) for r in found.collect()} == {(1, i) for i in range(3, 13)}
+
+
+def test_insertion_routes_each_row_to_one_segment(spark):
+    data = rows(spark, [3] * 120 + list(range(10, 200)))
+    held = index.build_index(data, cap=50)
+    new = rows(spark, [None, 3, 3, 3, 5, 1, 500]).withColumn("id", F.col("id") + 1000)
+    grown = index.insert(held, new)
+    assert grown.count() == 316 and grown.where("id >= 1000").select("id").distinct().count() == 6
+    again = index.update(grown, new.where("id = 1006").withColumn("attr", F.lit(4).cast("long")))
+    q = spark.createDataFrame([(1, [0.0, 0.0], 4, 5), (2, [0.0, 0.0], 400, 600)], "qid long, qvec array<float>, lo long, hi long")
+    assert {(r.qid, r.id) for r in index.range_knn(again, q, 10).collect()} == {(1, 1004), (1, 1006)}
+
+
 def test_printed_example_of_the_share_in_range(spark):
     from hybridrange import theory
 
