@@ -206,6 +206,8 @@ def test_lm_scores_agree_with_a_plain_mixture(spark, docs, rows, monkeypatch):
     long_ = "x" * 90
     more = docs.union(spark.createDataFrame([(5000 + i, f"{long_} of {long_}", "en", "a", 1) for i in range(4)], SCHEMA)).repartition(1)
     monkeypatch.setattr(attention_lm, "SHARES", (0.4,))
+    laid_out = attention_lm.laid_out  # the table's words lay the classes out, which are held the same here
+    monkeypatch.setattr(attention_lm, "laid_out", lambda seen, initial: laid_out(np.arange(len(seen))[::-1], initial))
     want = {r.doc_id: r.score for r in attention_lm.score_all(more).collect()}
     monkeypatch.setattr(attention_lm, "HOT", 3)
     got = {r.doc_id: r.score for r in attention_lm.score_all(more).collect()}
