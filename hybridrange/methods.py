@@ -130,7 +130,7 @@ for _name in ("rand", "dup50", "label", "price", "time"):
 @query("median_row", f"WITH {ranges_sql('dup50')}, i AS (SELECT qid, attr, row_number() OVER (PARTITION BY qid ORDER BY attr) AS r, count(*) OVER (PARTITION BY qid) AS n FROM q JOIN h ON attr >= lo AND attr <= hi) SELECT qid, attr AS median_attr FROM i WHERE r = (n + 1) // 2")
 def _(spark, sf_dir):
     data, q = asked(spark, sf_dir, "dup50")
-    return ranks.median_rows(data, ranks.order_stats(data), q)
+    return ranks.median_rows(ranks.order_stats(data), q)
 
 
 def bounds_sql(name: str, reach: int) -> str:

@@ -9,7 +9,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from hybridrange.plans.tables import cut, small, width
+from hybridrange.plans.tables import cut, width
 
 
 def order_stats(df: DataFrame, attr: str = "attr") -> DataFrame:
@@ -38,12 +38,37 @@ def with_positions(df: DataFrame, attr: str = "attr") -> DataFrame:
     return local.join(before, F.col(attr) == F.col("_v")).withColumn("pos", F.col("before") + F.col("_in")).drop("_v", "_in", "before")
 
 
+def reached(values: DataFrame, points: DataFrame) -> DataFrame:
+    """(pid, found): for each of ``points(pid, at, after)`` the ``found`` of the last of ``values(at, found)`` below it, or at it where ``after``.
+
+    Both sides are dealt to ranges of ``at`` together and read once in order; what
+    an empty stretch misses comes from the ranges before, one row each.
+    """
+    spark = values.sparkSession
+    step = F.when(F.col("after"), 2).otherwise(0)
+    both = values.select("at", F.lit(1).alias("step"), F.lit(None).cast(points.schema["pid"].dataType).alias("pid"), "found")
+    both = both.union(points.select("at", step, "pid", F.lit(None).cast(values.schema["found"].dataType)))
+    part = cut(both.repartitionByRange(width(spark), "at").withColumn("part", F.spark_partition_id()), "reached")
+    ends = part.where("step = 1").groupBy("part").agg(F.max(F.struct("at", "found")).alias("end"))
+    carried = part.select("part").distinct().join(F.broadcast(ends.withColumnRenamed("part", "p2")), F.col("p2") < F.col("part"), "left").groupBy("part").agg(F.max("end")["found"].alias("carry"))  # one row a partition on both sides
+    last = F.last("found", ignorenulls=True).over(Window.partitionBy("part").orderBy("at", "step").rowsBetween(Window.unboundedPreceding, 0))
+    return part.withColumn("last", last).where("step <> 1").join(F.broadcast(carried), "part").select("pid", F.coalesce("last", "carry").alias("found"))
+
+
+def ends_of(stats: DataFrame, queries: DataFrame) -> DataFrame:
+    """(qid, rows and uniques below the range's start, the same up to its end) of every query whose bounds are known."""
+    held = queries.where("lo is not null and hi is not null")
+    side = lambda c, after: held.select(F.struct("qid", F.lit(after).alias("end")).alias("pid"), F.col(c).alias("at"), F.lit(after).alias("after"))
+    values = stats.select(F.col("attr").alias("at"), F.struct((F.col("before") + F.col("mult")).alias("r"), (F.col("rank_u") + 1).alias("u")).alias("found"))
+    found = reached(values, side("lo", False).union(side("hi", True)))
+    of = lambda c, end: F.coalesce(F.max(F.when(F.col("pid.end") == F.lit(end), F.col(f"found.{c}"))), F.lit(0))
+    return found.groupBy(F.col("pid.qid").alias("qid")).agg(of("r", False).alias("r0"), of("u", False).alias("u0"), of("r", True).alias("r1"), of("u", True).alias("u1"))
+
+
 def range_counts(stats: DataFrame, queries: DataFrame) -> DataFrame:
-    """(qid, rows, uniques) in every query's closed range, by cumulative counts; empty ranges count 0."""
-    held = queries.select("qid", "lo", "hi")
-    joined = stats.join(small(held), (F.col("attr") >= F.col("lo")) & (F.col("attr") <= F.col("hi")))
-    found = joined.groupBy("qid").agg((F.max(F.col("before") + F.col("mult")) - F.min("before")).alias("rows"), (F.max("rank_u") - F.min("rank_u") + 1).alias("uniques"))
-    return held.select("qid").join(found, "qid", "left").select("qid", F.coalesce("rows", F.lit(0)).alias("n_rows"), F.coalesce("uniques", F.lit(0)).alias("n_uniques"))
+    """(qid, n_rows, n_uniques) in every query's closed range, by the cumulative counts at its two ends; empty ranges and those with an unknown bound count 0."""
+    found = ends_of(stats, queries).select("qid", F.greatest(F.lit(0), F.col("r1") - F.col("r0")).alias("n_rows"), F.greatest(F.lit(0), F.col("u1") - F.col("u0")).alias("n_uniques"))
+    return queries.select("qid").join(found, "qid", "left").select("qid", *[F.coalesce(c, F.lit(0)).cast("long").alias(c) for c in ("n_rows", "n_uniques")])
 
 
 def value_at_rank(stats: DataFrame, wanted: Column) -> DataFrame:
@@ -51,12 +76,10 @@ def value_at_rank(stats: DataFrame, wanted: Column) -> DataFrame:
     return stats.where(wanted)
 
 
-def median_rows(df: DataFrame, stats: DataFrame, queries: DataFrame) -> DataFrame:
+def median_rows(stats: DataFrame, queries: DataFrame) -> DataFrame:
     """(qid, median_attr): the lower middle row's value of every range that holds one."""
-    joined = stats.join(small(queries.select("qid", "lo", "hi")), (F.col("attr") >= F.col("lo")) & (F.col("attr") <= F.col("hi")))
-    ends = joined.groupBy("qid").agg(F.min("before").alias("first"), (F.max(F.col("before") + F.col("mult")) - 1).alias("last"))
-    middle = ends.select("qid", F.floor((F.col("first") + F.col("last")) / 2).alias("mid"))
-    return stats.join(small(middle), (F.col("before") <= F.col("mid")) & (F.col("mid") < F.col("before") + F.col("mult"))).select("qid", F.col("attr").alias("median_attr"))
+    middle = ends_of(stats, queries).where("r1 > r0").select(F.col("qid").alias("pid"), F.floor((F.col("r0") + F.col("r1") - 1) / 2).cast("long").alias("at"), F.lit(True).alias("after"))
+    return reached(stats.select(F.col("before").alias("at"), F.col("attr").alias("found")), middle).select(F.col("pid").alias("qid"), F.col("found").alias("median_attr"))
 
 
 def window_bounds(stats: DataFrame, o: int, layer: int, strict: bool = False) -> DataFrame:

@@ -100,12 +100,12 @@ def _(spark, sf_dir):
     return drained(twice.select("event_id")).agg(F.count("*").alias("n"))
 
 
-@op("st_late_rows", "SELECT true AS whole")
+@op("st_late_rows", "SELECT date_trunc('hour', ts) AS start, count(*) AS n, true AS no_more FROM events GROUP BY 1 HAVING date_trunc('hour', ts) + INTERVAL 61 MINUTE <= (SELECT max(ts) FROM events)")
 def _(spark, sf_dir):
-    """Closed windows and the rows behind the watermark never exceed what came."""
-    w = stream(spark, sf_dir).withWatermark("ts", "1 minute").groupBy(F.window("ts", "1 hour")).agg(F.count("*").alias("n"))
-    closed = drained(w).agg(F.coalesce(F.sum("n"), F.lit(0)).alias("closed"))
-    return closed.crossJoin(table(spark, sf_dir, "events").agg(F.count("*").alias("n"))).select((F.col("closed") <= F.col("n")).alias("whole"))  # one row each
+    """Windows that the watermark closes when all rows come at once, and that none of them gains rows when later files bring some behind the watermark."""
+    counts = lambda files: drained(stream(spark, sf_dir, files=files).withWatermark("ts", "1 minute").groupBy(F.window("ts", "1 hour")).agg(F.count("*").alias("n"))).select(ntz("window.start").alias("start"), "n")
+    late = counts(4).withColumnRenamed("n", "m")
+    return counts(1).join(late, "start", "left").select("start", "n", (F.coalesce("m", F.lit(0)) <= F.col("n")).alias("no_more"))
 
 
 @op("st_static_join", "SELECT event_id, c_mktsegment FROM events JOIN customer ON c_custkey = user_id")

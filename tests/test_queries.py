@@ -127,3 +127,14 @@ def test_names_are_known_without_a_session():
 
     said = subprocess.run([sys.executable, "-c", "import __spark_entry__ as e; assert len(e.queries()) > 200 and e.oracle_sql()"], capture_output=True, text=True, timeout=120)
     assert said.returncode == 0, said.stderr[-500:]
+
+
+def test_counts_by_end_points_against_a_plain_count(spark):
+    values = [3] * 4 + [5, 5, 8, 13, 13, 21, 34] * 9
+    asked = [(1, 3, 3), (2, 4, 4), (3, 5, 13), (4, -9, 99), (5, 13, 5), (6, 35, 40), (7, -5, 2), (8, 22, 34), (9, None, 8), (10, 0, 21)]
+    stats = ranks.order_stats(rows(spark, values))
+    q = spark.createDataFrame(asked, "qid long, lo long, hi long")
+    inside = {i: sorted(v for v in values if lo is not None and lo <= v <= hi) for i, lo, hi in asked}
+    counts = ranks.range_counts(stats, q)
+    assert {(r.qid, r.n_rows, r.n_uniques) for r in counts.collect()} == {(i, len(x), len(set(x))) for i, x in inside.items()}
+    assert {(r.qid, r.median_attr) for r in ranks.median_rows(stats, q).collect()} == {(i, x[(len(x) - 1) // 2]) for i, x in inside.items() if x}
