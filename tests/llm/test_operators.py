@@ -205,9 +205,9 @@ def test_lm_scores_agree_with_a_plain_mixture(spark, docs, rows, monkeypatch):
     """Words in the table and words that are joined count alike, however few the table holds and however long they are."""
     long_ = "x" * 90
     more = docs.union(spark.createDataFrame([(5000 + i, f"{long_} of {long_}", "en", "a", 1) for i in range(4)], SCHEMA)).repartition(1)
-    monkeypatch.setattr(attention_lm, "SHARES", (0.4,))
+    monkeypatch.setattr(attention_lm, "DISCOUNTS", (0.4,))
     laid_out = attention_lm.laid_out  # the table's words lay the classes out, which are held the same here
-    monkeypatch.setattr(attention_lm, "laid_out", lambda seen, initial: laid_out(np.arange(len(seen))[::-1], initial))
+    monkeypatch.setattr(attention_lm, "laid_out", lambda seen, initial, company: laid_out(np.arange(len(seen))[::-1], initial))
     want = {r.doc_id: r.score for r in attention_lm.score_all(more).collect()}
     monkeypatch.setattr(attention_lm, "HOT", 3)
     got = {r.doc_id: r.score for r in attention_lm.score_all(more).collect()}
@@ -228,6 +228,24 @@ def test_lm_shares_within_classes_add_up_to_one():
         assert np.allclose(total[np.unique(net.cls[:5000])], 1, atol=1e-3)
 
 
+def test_lm_groups_ids_by_their_company():
+    r = np.random.default_rng(4)
+    side = r.integers(0, 2, 300)
+    company = np.abs(r.normal(0, 0.1, (300, 8))) + np.where(side[:, None] == (np.arange(8) < 4), 1.0, 0.0)
+    to = attention_lm.alike(company * r.integers(1, 90, 300)[:, None], 2)
+    assert len(set(zip(to.tolist(), side.tolist(), strict=True))) == 2
+    assert len(attention_lm.alike(np.zeros((5, 8)), 2)) == 5
+
+
+def test_lm_beats_the_unigram_where_texts_differ_in_kind(spark):
+    """Two vocabularies that never mix: what stands in the window tells which words may follow."""
+    r = np.random.default_rng(8)
+    kinds = [[f"{a}{b}{c}" for a in x for b in "aeiou" for c in "lnrst"] for x in ("bdfg", "kmpv")]
+    texts = [" ".join(r.choice(kinds[i % 2], 80)) for i in range(400)]
+    got = attention_lm.score_all(spark.createDataFrame([(i, t, "en", "a", 1) for i, t in enumerate(texts)], SCHEMA).coalesce(1)).where("held_out").collect()
+    assert sum(x.score for x in got) > sum(x.base_score for x in got)
+
+
 def test_lm_gradient_and_distribution():
     r = np.random.default_rng(1)
     texts = [np.array([1, *r.integers(3, 40, n), 2], np.int32) for n in (5, 30, 61)]
