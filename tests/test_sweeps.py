@@ -34,3 +34,14 @@ def test_one_build_answers_as_one_for_each_way_and_set(asked):
         got, want = ([tuple(r[c] for c in names) for r in x.collect()] for x in (here(every), one))
         assert sorted(got, key=key) == sorted(want, key=key)
         assert rows(here(both), "omega", "recall", "dc", "fc") == rows(workloads.points(one, truth[s], 5), "omega", "recall", "dc", "fc")
+
+
+def test_sizes_cover_segments_that_no_range_meets(asked):
+    data, _ = asked
+    held = run.sizes("flat_graph", data, cap=100)
+    assert held.count() == 3 and held.agg(F.sum("bytes")).first()[0] == 240 * 16 * 4 and held.where("build_s > 0").count() == 3
+
+
+def test_index_cost_searches_nothing(spark, sf_dir, monkeypatch):
+    monkeypatch.setattr(run, "run_kind", lambda *a, **b: pytest.fail("an index was searched"))
+    assert workloads.index_cost(spark, sf_dir).columns == ["index", "dataset", "bytes", "build_s"]
