@@ -45,3 +45,11 @@ def test_sizes_cover_segments_that_no_range_meets(asked):
 def test_index_cost_searches_nothing(spark, sf_dir, monkeypatch):
     monkeypatch.setattr(run, "run_kind", lambda *a, **b: pytest.fail("an index was searched"))
     assert workloads.index_cost(spark, sf_dir).columns == ["index", "dataset", "bytes", "build_s"]
+
+
+def test_segments_of_a_half_leave_room_for_the_other(spark, sf_dir, monkeypatch):
+    caps, build = [], workloads.index.build_index
+    monkeypatch.setattr(workloads.index, "build_index", lambda data, *a, cap=workloads.index.CAP, **b: caps.append(cap) or build(data, *a, cap=cap, **b))
+    monkeypatch.setattr(workloads, "held", lambda spark, key, make: make())
+    workloads.halves(spark, sf_dir, "window_stack", False)
+    assert caps == [workloads.index.CAP // 2]
