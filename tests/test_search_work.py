@@ -1,10 +1,11 @@
-"""A query's distances in a segment are taken at once, segments are dealt to many tasks."""
+"""A query's distances in a segment are taken at once, segments are dealt to many tasks, and small flat graphs are built from them."""
 
 import numpy as np
 
 from hybridrange import index
+from hybridrange.baselines.kernels import OracleGraph
 from hybridrange.kernel import stack
-from hybridrange.kernel.stack import Stack
+from hybridrange.kernel.stack import Settings, Stack
 
 
 def data(n=300, dims=8, seed=4):
@@ -30,3 +31,36 @@ def test_segments_are_dealt_to_more_tasks_than_a_shuffle_has(spark):
     rows = spark.range(2100).selectExpr("floor(id / 100) seg", "0 sub", "id")
     sizes = [len({r.seg for r in part}) for part in index.dealt(rows, "seg", "sub").rdd.glom().collect()]
     assert sum(sizes) == 21 and max(sizes) <= 3
+
+
+def searched(monkeypatch, make):
+    beams, plain = [], Stack.beam
+    monkeypatch.setattr(Stack, "beam", lambda self, *a, **k: beams.append(1) or plain(self, *a, **k))
+    made = make()
+    monkeypatch.setattr(Stack, "beam", plain)
+    return made, len(beams)
+
+
+def near(vecs, codes, q, low, high, k=10):
+    rows = np.flatnonzero((codes >= low) & (codes <= high))
+    return set(rows[np.argsort(stack.far(vecs, rows, q))[:k]].tolist())
+
+
+def hits(held, vecs, codes):
+    return np.mean([len(near(vecs, codes, vecs[i], 30, 200) & set(held.query(vecs[i], (30, 200), 10, 64).rows)) / 10 for i in range(20)])
+
+
+def test_the_graph_of_a_range_is_built_without_searches(monkeypatch):
+    vecs, codes = data()
+    held, beams = searched(monkeypatch, lambda: OracleGraph(vecs, codes).graph_of(np.arange(300), (0, 299)))
+    assert beams == 0 and hits(OracleGraph(vecs, codes), vecs, codes) > 0.95
+    assert held.links[0][1] and all(r != i for i, to in enumerate(held.links[0]) for r in to)
+
+
+def test_rows_that_have_not_arrived_or_are_deleted_are_no_candidates():
+    vecs, codes = data(40)
+    held = Stack(vecs, codes, Settings(layers=1, o=1 << 40, scan=True))
+    for row in (30, 2, 17):
+        held.insert(row)
+    held.deleted[2] = True
+    assert set(held.nearest(stack.far(vecs, slice(0, 31), vecs[5]), (0, 39), 64).rows) == {30, 17}
