@@ -3,7 +3,7 @@
 import numpy as np
 
 from hybridrange import index
-from hybridrange.baselines.kernels import OracleGraph
+from hybridrange.baselines.kernels import BlockSuperset, OracleGraph
 from hybridrange.kernel import stack
 from hybridrange.kernel.stack import Settings, Stack
 
@@ -64,3 +64,9 @@ def test_rows_that_have_not_arrived_or_are_deleted_are_no_candidates():
         held.insert(row)
     held.deleted[2] = True
     assert set(held.nearest(stack.far(vecs, slice(0, 31), vecs[5]), (0, 39), 64).rows) == {30, 17}
+
+
+def test_graphs_of_blocks_are_built_without_searches(monkeypatch):
+    vecs, codes = data()
+    held, beams = searched(monkeypatch, lambda: BlockSuperset(vecs, codes))
+    assert beams == 0 and hits(held, vecs, codes) > 0.95
