@@ -33,6 +33,15 @@ def test_segments_are_dealt_to_more_tasks_than_a_shuffle_has(spark):
     assert sum(sizes) == 21 and max(sizes) <= 3
 
 
+def test_a_wide_shuffle_gets_no_more_tasks_for_segments(spark):
+    rows, n = spark.range(100).selectExpr("id seg", "0 sub"), spark.conf.get("spark.sql.shuffle.partitions")
+    spark.conf.set("spark.sql.shuffle.partitions", "211")
+    try:
+        assert index.dealt(rows, "seg", "sub").rdd.getNumPartitions() == 211
+    finally:
+        spark.conf.set("spark.sql.shuffle.partitions", n)
+
+
 def searched(monkeypatch, make):
     beams, plain = [], Stack.beam
     monkeypatch.setattr(Stack, "beam", lambda self, *a, **k: beams.append(1) or plain(self, *a, **k))
