@@ -47,6 +47,20 @@ def test_index_cost_searches_nothing(spark, sf_dir, monkeypatch):
     assert workloads.index_cost(spark, sf_dir).columns == ["index", "dataset", "bytes", "build_s"]
 
 
+def test_index_cost_covers_every_index_on_every_set(spark, sf_dir, monkeypatch):
+    every = workloads.hybrid
+    monkeypatch.setattr(workloads, "hybrid", lambda *a: every(*a).where("id < 60"))
+    got = workloads.index_cost(spark, sf_dir).collect()
+    kinds, sets = set(workloads.FLOORS), ("rand", "time", "title", "id")
+    assert sorted((r["index"], r["dataset"]) for r in got) == sorted((k, d) for k in kinds for d in sets)
+    for name in sets:
+        data = workloads.hybrid(spark, sf_dir, name)
+        for kind in ("prefilter", "flat_graph", "ivf"):
+            want = run.sizes(kind, data).agg(F.sum("bytes")).first()[0]
+            assert [r["bytes"] for r in got if (r["index"], r["dataset"]) == (kind, name)] == [want]
+        assert all(r["build_s"] > 0 for r in got if r["index"] == "flat_graph")
+
+
 def test_segments_of_a_half_leave_room_for_the_other(spark, sf_dir, monkeypatch):
     caps, build = [], workloads.index.build_index
     monkeypatch.setattr(workloads.index, "build_index", lambda data, *a, cap=workloads.index.CAP, **b: caps.append(cap) or build(data, *a, cap=cap, **b))
